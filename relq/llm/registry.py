@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import simhash
+from . import packing, simhash
 
-QUERIES = {"op7_simhash": simhash.op7_simhash}
+QUERIES = {"op2_packing": packing.op2_packing, "op7_simhash": simhash.op7_simhash}
 ORACLES: dict[str, str] = {}
