@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import packing, simhash
+from . import packing, simhash, warc
 
-QUERIES = {"op2_packing": packing.op2_packing, "op7_simhash": simhash.op7_simhash}
-ORACLES: dict[str, str] = {}
+QUERIES = {"op2_packing": packing.op2_packing, "op3_warc": warc.op3_warc, "op7_simhash": simhash.op7_simhash}
+ORACLES: dict[str, str] = {"op3_warc": warc.ORACLE}
