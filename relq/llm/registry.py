@@ -2,7 +2,12 @@
 
 from __future__ import annotations
 
-from . import packing, simhash, warc
+from . import embeddings, packing, simhash, warc
 
-QUERIES = {"op2_packing": packing.op2_packing, "op3_warc": warc.op3_warc, "op7_simhash": simhash.op7_simhash}
+QUERIES = {
+    "op2_packing": packing.op2_packing,
+    "op3_warc": warc.op3_warc,
+    "op7_simhash": simhash.op7_simhash,
+    "op9_vectors": embeddings.op9_vectors,
+}
 ORACLES: dict[str, str] = {"op3_warc": warc.ORACLE}
