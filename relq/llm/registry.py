@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from . import decontaminate, embeddings, licenses, packing, simhash, warc
+from . import decontaminate, embeddings, licenses, packing, secrets, simhash, warc
 
 QUERIES = {
     "op1_decontamination": decontaminate.op1_decontamination,
     "op2_packing": packing.op2_packing,
     "op3_warc": warc.op3_warc,
+    "op4_secrets": secrets.op4_secrets,
     "op6_licenses": licenses.op6_licenses,
     "op7_simhash": simhash.op7_simhash,
     "op9_vectors": embeddings.op9_vectors,
