@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontaminate, embeddings, licenses, packing, secrets, simhash, warc
+from . import decontaminate, embeddings, licenses, packing, secrets, simhash, toxicity, warc
 
 QUERIES = {
     "op1_decontamination": decontaminate.op1_decontamination,
@@ -11,6 +11,7 @@ QUERIES = {
     "op4_secrets": secrets.op4_secrets,
     "op6_licenses": licenses.op6_licenses,
     "op7_simhash": simhash.op7_simhash,
+    "op8_toxicity": toxicity.op8_toxicity,
     "op9_vectors": embeddings.op9_vectors,
 }
 ORACLES: dict[str, str] = {"op3_warc": warc.ORACLE}
