@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 #: Pieces among which the heuristic chooses; words whose ids a task remembers.
-POOL, WORD_MEMORY = 512, 400_000
+POOL, WORD_MEMORY = 256, 1_000_000
 
 
 @dataclass(frozen=True)
@@ -120,6 +120,9 @@ class WordTokenizer:
         from tokenizers import Tokenizer
 
         self.tokenizer, self.memory = Tokenizer.from_file(path), memory
+        vocabulary = self.tokenizer.get_vocab()
+        self.ends_word = np.zeros(max(vocabulary.values()) + 1, bool)
+        self.ends_word[[k for token, k in vocabulary.items() if token.endswith("</w>")]] = True
         self._clear()
 
     def _clear(self) -> None:
@@ -127,37 +130,69 @@ class WordTokenizer:
         self.flat, self.filled = np.empty(1 << 16, np.uint32), 0
         self.begin, self.count = np.empty(1 << 14, np.int64), np.empty(1 << 14, np.int32)
 
+    def _encode(self, words: list[str]) -> list[list[int]]:
+        return [x.ids for x in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
+
+    def _remember(self, words: list[bytes], ids: np.ndarray, counts: np.ndarray) -> None:
+        n = len(self.known)
+        while n + len(words) > len(self.begin):
+            self.begin, self.count = np.resize(self.begin, 2 * len(self.begin)), np.resize(self.count, 2 * len(self.count))
+        while self.filled + len(ids) > len(self.flat):
+            self.flat = np.resize(self.flat, 2 * len(self.flat))
+        self.flat[self.filled : self.filled + len(ids)] = ids
+        self.begin[n : n + len(words)] = self.filled + np.cumsum(counts, dtype=np.int64) - counts
+        self.count[n : n + len(words)] = counts
+        self.filled += len(ids)
+        self.known.update(zip(words, range(n, n + len(words)), strict=True))
+
     def _learn(self, words: list[bytes]) -> None:
-        for k in range(0, len(words), 20_000):
-            part = words[k : k + 20_000]
-            found = [x.ids for x in self.tokenizer.encode_batch([w.decode("utf-8", "replace") for w in part], add_special_tokens=False)]
+        """Plain words go many to a text, as their ends show in the ids; others go one by one."""
+        plain, parts, other = [], [], []
+        for raw in words:
+            word = raw.decode("utf-8", "replace")
+            if word.isalpha():
+                plain.append((raw, word))
+                parts.append(1)
+            elif word[-1] in ".,!?;:%$#*&" and word[:-1].isalpha():
+                plain.append((raw, word))
+                parts.append(2)
+            else:
+                other.append((raw, word))
+        for k in range(0, len(plain), 512):
+            chunk = plain[k : k + 512]
+            ids = np.array(self._encode([" ".join(w for _, w in chunk)])[0], np.uint32)
+            ends, wanted = np.nonzero(self.ends_word[ids])[0], np.cumsum(parts[k : k + 512])
+            if len(ends) == wanted[-1] and ends[-1] == len(ids) - 1:
+                stops = ends[wanted - 1] + 1
+                self._remember([raw for raw, _ in chunk], ids, np.diff(stops, prepend=0).astype(np.int32))
+            else:
+                other += chunk
+        for k in range(0, len(other), 8_192):
+            chunk = other[k : k + 8_192]
+            found = self._encode([w for _, w in chunk])
             counts = np.fromiter(map(len, found), np.int32, len(found))
-            n, total = len(self.known), int(counts.sum())
-            while n + len(part) > len(self.begin):
-                self.begin, self.count = np.resize(self.begin, 2 * len(self.begin)), np.resize(self.count, 2 * len(self.count))
-            while self.filled + total > len(self.flat):
-                self.flat = np.resize(self.flat, 2 * len(self.flat))
-            self.flat[self.filled : self.filled + total] = np.fromiter(itertools.chain.from_iterable(found), np.uint32, total)
-            self.begin[n : n + len(part)] = self.filled + np.concatenate([[0], np.cumsum(counts[:-1], dtype=np.int64)])
-            self.count[n : n + len(part)] = counts
-            self.filled += total
-            self.known.update(zip(part, range(n, n + len(part)), strict=True))
+            self._remember([raw for raw, _ in chunk], np.fromiter(itertools.chain.from_iterable(found), np.uint32, int(counts.sum())), counts)
 
     def ids(self, texts: list[bytes]) -> list[np.ndarray]:
         words = [t.split() for t in texts]
         if len(self.known) > self.memory:
             self._clear()
-        fresh = dict.fromkeys(w for w in itertools.chain.from_iterable(words) if w not in self.known)
-        if fresh:
-            self._learn(list(fresh))
-        out = []
-        for ws in words:
-            at = np.fromiter(map(self.known.__getitem__, ws), np.int64, len(ws))
-            count = self.count[at]
-            ends = np.cumsum(count, dtype=np.int64)
-            total = int(ends[-1]) if len(ends) else 0
-            out.append(self.flat[np.arange(total) + np.repeat(self.begin[at] - (ends - count), count)])
-        return out
+        sizes = np.fromiter(map(len, words), np.int64, len(words))
+        every = list(itertools.chain.from_iterable(words))
+        at = np.fromiter(map(self.known.get, every, itertools.repeat(-1)), np.int32, len(every))
+        missing = np.nonzero(at < 0)[0]
+        if len(missing):
+            lost = [every[k] for k in missing.tolist()]
+            self._learn(list(dict.fromkeys(lost)))
+            at[missing] = np.fromiter(map(self.known.__getitem__, lost), np.int32, len(lost))
+        count, begin = self.count[at], self.begin[at]
+        ends = np.cumsum(count, dtype=np.int64)
+        total = int(ends[-1]) if len(ends) else 0
+        spots = np.repeat((begin - ends + count), count)
+        spots += np.arange(total)
+        flat = self.flat[spots]
+        cuts = np.concatenate([[0], ends])[np.cumsum(sizes)]
+        return np.split(flat, cuts[:-1])
 
 
 @functools.lru_cache(2)
