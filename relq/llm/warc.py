@@ -166,7 +166,8 @@ def read_records(index: DataFrame, folder: str) -> DataFrame:
                     yield pa.RecordBatch.from_arrays([ids[0], *middle, ids[1]], ["page_id", "url", "payload", "payload_bytes", "payload_digest", "record_type", "refers_to"])
                 k = stop_row
 
-    return index.select("page_id", "archive", "offset", "length").repartition("archive").sortWithinPartitions("archive", "offset").mapInArrow(run, schema)
+    archives = index.agg(F.countDistinct("archive")).first()[0]  # a stated number keeps small index rows from meeting in one task
+    return index.select("page_id", "archive", "offset", "length").repartition(max(1, archives), "archive").sortWithinPartitions("archive", "offset").mapInArrow(run, schema)
 
 
 def archive_pages(pages: DataFrame, **columns: str) -> tuple[DataFrame, str]:
