@@ -10,6 +10,7 @@ the same bound prunes rings of equal distance before bits are compared.
 from __future__ import annotations
 
 import functools
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -216,3 +217,117 @@ def op7_simhash(spark, sf_dir: str) -> DataFrame:
     """Every document with its fingerprint in hex and its component, at three words and two bits."""
     found = simhash_components(spark.read.parquet(f"{sf_dir}/documents.parquet"))
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+#: Least values of 48 hash functions in 12 bands of four: a pair at 0.8 shares a band with probability 0.998.
+BANDS, BAND_ROWS = 12, 4
+_MULTIPLIERS = (np.random.default_rng(5).integers(1, 1 << 63, BANDS * BAND_ROWS, dtype=np.uint64) << np.uint64(1)) | np.uint64(1)
+
+
+def band_keys(hashes: np.ndarray) -> np.ndarray:
+    """One key per band from the least hash values of a set of shingles."""
+    least = np.full(BANDS * BAND_ROWS, np.iinfo(np.uint64).max, np.uint64)
+    for k in range(0, len(hashes), 4_096):
+        np.minimum(least, (hashes[k : k + 4_096, None] * _MULTIPLIERS).min(0), out=least)
+    return np.array([xxhash.xxh64_intdigest(row.tobytes()) for row in least.reshape(BANDS, BAND_ROWS)], np.uint64)
+
+
+def sketches(docs: DataFrame, text_col: str, shingle: int) -> DataFrame:
+    """``(mark, fp, size, bands)`` of every row; ``mark`` is the digest of its text, ``size`` counts different shingles."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            fps, sizes, keys = [], [], []
+            for text in batch.column(1).cast(pa.binary()):
+                hashes = shingle_hashes(text.as_py(), shingle)
+                fps.append(majority_bits(hashes))
+                hashes = np.unique(hashes)
+                sizes.append(len(hashes))
+                keys.append(band_keys(hashes).view(np.int64))
+            flat = np.concatenate(keys) if keys else np.zeros(0, np.int64)
+            ends = pa.array(np.arange(len(fps) + 1, dtype=np.int32) * BANDS)
+            columns = [batch.column(0), pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(sizes, pa.int64()), pa.ListArray.from_arrays(ends, pa.array(flat))]
+            yield pa.RecordBatch.from_arrays(columns, ["mark", "fp", "size", "bands"])
+
+    body = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
+    return docs.select(F.md5(body.cast("binary")).alias("mark"), body.alias("text")).mapInArrow(run, "mark string, fp long, size long, bands array<long>")
+
+
+def _shingle_sets(texts: DataFrame, shingle: int) -> DataFrame:
+    """``(node, hashes)``: the sorted distinct shingle hashes of ``texts(node, text)``."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for k in range(0, batch.num_rows, 64):
+                part = batch.slice(k, 64)
+                sets = [np.unique(shingle_hashes(t.as_py(), shingle)).view(np.int64) for t in part.column(1).cast(pa.binary())]
+                ends = pa.array(np.concatenate([[0], np.cumsum([len(s) for s in sets])]).astype(np.int32))
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(ends, pa.array(np.concatenate(sets)))], ["node", "hashes"])
+
+    return texts.select("node", "text").mapInArrow(run, "node long, hashes array<long>")
+
+
+def near_duplicate_texts(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", shingle: int = 5, similarity: float = 0.8, radius: int = 3) -> tuple[DataFrame, Workspace]:
+    """``(mark, root, first_id)`` for every different text: its group, and the smallest id that bears the text.
+
+    Equal texts are one node. Fingerprints within ``radius`` bits are candidates
+    by vantage-point shards. A similarity of 0.8 lets a fingerprint of five-word
+    shingles differ in up to some 14 bits, where triangle bounds prune nothing,
+    so texts that share a band of least hash values are candidates too: each
+    with the first and the last node of its bucket. Buckets are parted by size,
+    every text standing in two neighbouring classes, as similar sets are of
+    similar size. Candidates are linked if the exact Jaccard similarity of their
+    shingle sets reaches ``similarity``.
+    """
+    work = Workspace(docs.sparkSession, "texts")
+    ids = docs.select(F.md5(F.coalesce(F.col(text_col).cast("string"), F.lit("")).cast("binary")).alias("mark"), F.col(id_col).alias("id"))
+    firsts = ids.groupBy("mark").agg(F.min("id").alias("first_id"))
+    marked = work.save(sketches(docs, text_col, shingle), "sketches")
+    different = marked.groupBy("mark").agg(F.first("fp").alias("fp"), F.first("size").alias("size"), F.first("bands").alias("bands"))
+    nodes = work.save(different.withColumn("node", F.monotonically_increasing_id()), "nodes")
+
+    points = work.save(nodes.groupBy("fp").agg(F.min("node").alias("first")), "points")
+    equal = nodes.select("node", "fp").join(points, "fp").select(F.col("node").alias("a"), F.col("first").alias("b"))
+    near = links_within(points.select("fp"), radius, work)
+    ends = [points.select(F.col("fp").alias(x), F.col("first").alias(f"node_{x}")) for x in "ab"]
+    hamming = near.join(ends[0], "a").join(ends[1], "b").select(F.col("node_a").alias("node"), F.col("node_b").alias("hub"))
+
+    step = math.log(1 / similarity) + 1e-9
+    grade = F.floor(F.log(F.greatest("size", F.lit(1))) / step)
+    banded = nodes.select("node", grade.alias("grade"), F.posexplode("bands").alias("band", "key"))
+    keyed = banded.select("node", F.explode(F.array(*[F.xxhash64("band", "key", F.col("grade") + k) for k in (0, 1)])).alias("bucket"))
+    hubs = keyed.groupBy("bucket").agg(F.min("node").alias("low"), F.max("node").alias("high")).where("low < high")
+    sought = keyed.join(hubs, "bucket").select("node", F.explode(F.array("low", "high")).alias("hub")).unionByName(hamming)
+    pairs = work.save(sought.where("node <> hub").select(F.least("node", "hub").alias("node"), F.greatest("node", "hub").alias("hub")).distinct(), "pairs")
+    wanted = pairs.select("node").unionByName(pairs.select(F.col("hub").alias("node"))).distinct().join(nodes.select("node", "mark"), "node")
+    body = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
+    texts = docs.select(F.md5(body.cast("binary")).alias("mark"), F.struct(F.col(id_col).alias("i"), body.alias("text")).alias("row"))
+    keepers = wanted.join(firsts, "mark")
+    some = texts.join(keepers, "mark").where(F.col("row.i").eqNullSafe(F.col("first_id"))).select("node", "row.text")
+    sets = work.save(_shingle_sets(some, shingle), "sets").dropDuplicates(["node"])
+    sized = pairs.join(sets, "node").withColumnRenamed("hashes", "left").join(sets.select(F.col("node").alias("hub"), F.col("hashes").alias("right")), "hub")
+    shared = F.size(F.array_intersect("left", "right"))
+    alike = sized.select("node", "hub", shared.alias("s"), (F.size("left") + F.size("right")).alias("t")).where(F.col("s") >= similarity * (F.col("t") - F.col("s")) - 1e-9)
+    links = equal.where("a <> b").unionByName(alike.select(F.col("node").alias("a"), F.col("hub").alias("b")))
+    roots = connected_components(work.save(links, "links"), work)
+    named = nodes.select("node", "mark").join(roots, "node", "left").select("mark", F.coalesce("root", "node").alias("root"))
+    return work.save(named.join(firsts, "mark"), "groups"), work
+
+
+def keep_one_of_each(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", **options) -> DataFrame:
+    """The rows that stay when one document of each group of near-duplicates does, with all their columns.
+
+    It is the one with the smallest id (null ids come last; equal ids with
+    different texts: the text with the smaller digest; repeated rows: one of
+    them). Null and blank texts are one group. Empty tables stay empty.
+    """
+    groups, _ = near_duplicate_texts(docs, text_col, id_col, **options)
+    best = groups.groupBy("root").agg(F.min(F.struct(F.col("first_id").isNull().alias("nameless"), "first_id", "mark")).alias("k")).select(F.col("k.mark").alias("__mark"), F.col("k.first_id").alias("__id"))
+    names = docs.columns
+    body = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
+    rows = docs.withColumn("__row_mark", F.md5(body.cast("binary")))
+    kept = rows.join(best, (F.col("__row_mark") == F.col("__mark")) & F.col(id_col).eqNullSafe(F.col("__id")), "left_semi")
+    repeated = rows.select(F.col(id_col).alias("i"), "__row_mark").groupBy("i", "__row_mark").count().where("count > 1").limit(1).count()
+    if repeated:
+        kept = kept.dropDuplicates([id_col, "__row_mark"])
+    return kept.select(*[F.col(f"`{n}`") for n in names])
