@@ -41,11 +41,13 @@ TEMPLATES = (
     ("Unlicense", "This is free and unencumbered software released into the public domain."),
 )
 THRESHOLD = 0.8
+#: Mean length of the words of a block above which it resembles no licence.
+LONGEST_WORD = 24
 
 
 def normal_words(text: Column) -> Column:
-    """Lower-cased runs of letters and digits."""
-    return F.filter(F.split(F.lower(text), r"[^\p{L}\p{N}]+"), lambda w: w != "")
+    """Lower-cased runs of letters and digits; all beyond ASCII counts as letters."""
+    return F.array_remove(F.split(F.lower(text), r"[^a-z0-9\x{80}-\x{10FFFF}]+"), "")
 
 
 def templates_frame(spark: SparkSession, templates: tuple = TEMPLATES) -> DataFrame:
@@ -64,11 +66,13 @@ def segments(docs: DataFrame, longest: int, id_col: str, text_col: str) -> DataF
     """``(doc_id, level, part, text_no, words)``: lines, and blocks of several lines no longer than templates allow."""
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
     rows = docs.select(F.col(id_col).alias("doc_id"), text.alias("body"), F.xxhash64(text).alias("text_no"))
-    lines = rows.select("doc_id", "text_no", F.lit("line").alias("level"), F.posexplode(F.split("body", "\\R")).alias("part", "segment"))
-    blocks = rows.where(F.length("body") >= 3).select("doc_id", "text_no", F.lit("block").alias("level"), F.posexplode(F.split("body", "\\R[ \\t]*\\R")).alias("part", "segment"))
-    # only blocks of several lines; a line of that kind is compared as a line
-    blocks = blocks.where(F.col("segment").rlike("\\S[^\\n]*\\n[\\s\\S]*\\S"))
-    both = lines.unionByName(blocks).withColumn("words", normal_words(F.col("segment"))).drop("segment")
+    lines = rows.select("doc_id", "text_no", F.lit("line").alias("level"), F.posexplode(F.split("body", "[\r\n]+")).alias("part", "segment"))
+    # a text without a blank line is one block; what is far too long for any template is left before words are cut
+    paragraphs = F.when(F.contains("body", F.lit("\n\n")), F.split("body", "\n\n+")).otherwise(F.array("body"))
+    short = F.filter(paragraphs, lambda p: (F.length(p) <= LONGEST_WORD * (longest + 1)) & F.contains(p, F.lit("\n")))
+    blocks = rows.select("doc_id", "text_no", F.lit("block").alias("level"), F.posexplode(short).alias("part", "segment"))
+    both = lines.unionByName(blocks).where(F.length("segment") > 2)
+    both = both.withColumn("words", normal_words(F.col("segment"))).drop("segment")
     return both.where((F.size("words") > 1) & (F.size("words") <= longest + 1))
 
 
