@@ -51,7 +51,8 @@ def labelled_samples(spark: SparkSession, docs: DataFrame | None = None, id_col:
     ordinary = n.select(F.explode(F.array(*forms)).alias("run"), F.lit(False).alias("random"))
     samples = random.unionByName(ordinary)
     if docs is not None:
-        some = docs.select(F.col(id_col).alias("i"), F.col(text_col).cast("string").alias("t")).where("t is not null").orderBy(F.xxhash64("i"), "i").limit(SAMPLE_DOCS)
+        ids = docs.select(F.col(id_col).alias("i")).where("i is not null").orderBy(F.xxhash64("i"), "i").limit(SAMPLE_DOCS).distinct()
+        some = docs.select(F.col(id_col).alias("i"), F.col(text_col).cast("string").alias("t")).join(F.broadcast(ids), "i").where("t is not null")
         runs = some.select(F.explode(F.regexp_extract_all("t", F.lit("[A-Za-z]{8,}"), F.lit(0))).alias("run"), F.lit(False).alias("random"))
         samples = samples.unionByName(runs)
     return samples
