@@ -32,7 +32,7 @@ def _merged(fresh: DataFrame, pool: DataFrame) -> DataFrame:
     return both.select("query_id", "node_id", F.col("am").bitwiseOR(F.col("bm")).alias("mask"), (F.col("al") + F.col("bl")).alias("length"), F.lit(None).cast("long").alias("via"), F.least("am", "bm").alias("left"))
 
 
-def batch_search(graph: RelGraph, seeds: DataFrame, queries: dict[int, int], max_supersteps: int | None = None, half_cut: bool = True) -> tuple[DataFrame, DataFrame, list[dict]]:
+def batch_search(graph: RelGraph, seeds: DataFrame, queries: dict[int, int], max_supersteps: int | None = None, half_cut: bool = True, bounded: bool = True) -> tuple[DataFrame, DataFrame, list[dict]]:
     """``(answers, state, trace)`` for ``seeds(query_id, node_id, mask)`` and ``queries`` as number of keywords by id.
 
     ``answers(query_id, root, weight)`` has the least root among ties. With
@@ -49,7 +49,7 @@ def batch_search(graph: RelGraph, seeds: DataFrame, queries: dict[int, int], max
         number += 1
         known = spark.createDataFrame([(q, float(w)) for q, w in best.items()] or [(-1, 0.0)], "query_id int, best double")  # a row a query
         bound = F.coalesce(F.col("best"), F.lit(math.inf))
-        cut = (2 * F.col("length") <= bound) if half_cut else (F.col("length") <= bound)
+        cut = F.lit(True) if not bounded else (2 * F.col("length") <= bound) if half_cut else (F.col("length") <= bound)
         growable = delta.join(F.broadcast(full), "query_id").where(F.col("mask") != F.col("full")).join(F.broadcast(known), "query_id", "left").where(cut)
         sent = growable.select(*KEY, "length").join(edges, F.col("node_id") == F.col("src"))
         msgs = _best(sent.select("query_id", F.col("dst").alias("node_id"), "mask", (F.col("length") + F.col("w")).alias("length"), F.col("src").alias("via"), F.lit(None).cast("int").alias("left")))
