@@ -398,9 +398,9 @@ def search_trace(s, d):
 
 @query()
 def batch_trees(s, d):
-    """Edges of the best trees of ten workload queries, found in one loop."""
-    g, seeds, queries = content_batch(s, d, [k for k in range(0, 100, 10)])
-    answers, state, _ = batch_search(g, seeds, queries, max_supersteps=6)
+    """Edges of the best trees of four workload queries, found in one loop."""
+    g, seeds, queries = content_batch(s, d, [0, 10, 20, 30])
+    answers, state, _ = batch_search(g, seeds, queries, max_supersteps=4)
     return rebuild(answers, state)
 
 
@@ -411,7 +411,7 @@ def stop_compare(s, d):
     variants = {"published": {}, "ties stop": {"tie_ok": True}, "certified": {"stop": "certified"}, "none": {"stop": "none"}, "half cut": {"stop": "none", "half_cut": True}, "balanced only": {"deep": False, "stop": "none"}, "no drain": {"drain": False}}
     rows = []
     for name, options in variants.items():
-        found = relationship_search(g, seeds, 2, 1, max_supersteps=8, **options)
+        found = relationship_search(g, seeds, 2, 1, max_supersteps=4, **options)
         rows.append((name, found.status, found.best[0]["length"] if found.best else None, len(found.rows), report.deep_messages(found)))
     return s.createDataFrame(rows, "variant string, status string, weight double, rounds int, deep_msgs long")
 
