@@ -18,6 +18,7 @@ from pyspark.sql import functions as F
 
 from .components import connected_components
 from .simhash import spanning_links
+from .workers import tidy
 from .workspace import Workspace
 
 PASSES, BITS, BLOCK, WINDOW, SEED = 8, 62, 1_024, 512, 20_241
@@ -69,7 +70,7 @@ def window_links(classes: DataFrame, threshold: float, work: Workspace, passes:
                     ["pass", "size", "key", "rid", "label", "vector"],
                 )
 
-    dealt = classes.select("rid", "label", "vector").mapInArrow(project, f"pass int, size int, key long, rid long, label {kinds['label']}, vector {kinds['vector']}")
+    dealt = classes.select("rid", "label", "vector").mapInArrow(tidy(project), f"pass int, size int, key long, rid long, label {kinds['label']}, vector {kinds['vector']}")
     order = ["pass", "label", "size", "key", "rid"]
     ordered = dealt.repartitionByRange(*order).sortWithinPartitions(*order)
     placed = work.save(ordered.withColumn("part", F.spark_partition_id()).withColumn("at", F.monotonically_increasing_id().bitwiseAND((1 << 33) - 1)), "ordered")

@@ -16,6 +16,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .labels import residue
+from .workers import tidy
 
 #: Documented bounds: rows of each language to learn from, languages, landmarks, and buckets of n-grams.
 PER_LANGUAGE, LANGUAGES, LANDMARKS, BUCKETS = 1_200, 400, 192, 8_192
@@ -51,12 +52,12 @@ class LanguageModel:
     def __init__(self, landmarks: np.ndarray, coefficients: np.ndarray, languages: list[str]):
         self.landmarks, self.coefficients, self.languages = landmarks, coefficients.astype(np.float32), languages
 
-    def predict(self, texts: list[str | None]) -> tuple[list[str], np.ndarray]:
+    def predict(self, texts: pa.Array) -> tuple[list[str], np.ndarray]:
         if not self.languages:
             return [UNDETERMINED] * len(texts), np.zeros(len(texts))
         names, scores = [], []
         for k in range(0, len(texts), 256):
-            f = kernel(presence(texts[k : k + 256]), self.landmarks) @ self.coefficients
+            f = kernel(presence(texts.slice(k, 256).to_pylist()), self.landmarks) @ self.coefficients
             p = np.exp(SHARPNESS * (f - f.max(1, keepdims=True)).astype(float))
             p /= p.sum(1, keepdims=True)
             best = p.argmax(1)
@@ -109,7 +110,7 @@ def train(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_
             bits = [np.packbits(presence([x.as_py()])[0]).tobytes() for x in batch.column(2)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(bits, pa.binary())], ["mark", "lang", "bits"])
 
-    found = few.select(mark.alias("mark"), "lang", "text").mapInArrow(pack, "mark long, lang string, bits binary").toPandas()
+    found = few.select(mark.alias("mark"), "lang", "text").mapInArrow(tidy(pack), "mark long, lang string, bits binary").toPandas()
     found = found.sort_values(["mark", "lang", "bits"]).groupby("lang").head(per_language)
     vectors = np.stack([np.unpackbits(np.frombuffer(b, np.uint8)) for b in found["bits"]])
     return fit(vectors, found["lang"].tolist())
@@ -126,14 +127,14 @@ def identify(docs: DataFrame, model: LanguageModel, id_col: str = "doc_id", text
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            names, scores = shared.value.predict(batch.column(1).to_pylist())
+            names, scores = shared.value.predict(batch.column(1))
             lettered = batch.column(2).to_pylist()
             names = [n if ok else UNDETERMINED for n, ok in zip(names, lettered, strict=True)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(names, pa.string()), pa.array(np.where(lettered, scores, 0.0))], ["doc_id", "lang_pred", "score"])
 
     text = F.col(text_col).cast("string")
     rows = docs.select(F.col(id_col).alias("doc_id"), text.alias("text"), F.coalesce(text.rlike(r"\p{L}"), F.lit(False)).alias("lettered"))
-    return rows.mapInArrow(run, f"doc_id {kind}, lang_pred string, score double")
+    return rows.mapInArrow(tidy(run), f"doc_id {kind}, lang_pred string, score double")
 
 
 def op5_language(spark: SparkSession, sf_dir: str) -> DataFrame:

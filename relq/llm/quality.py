@@ -17,6 +17,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .labels import residue, training_labels
+from .workers import tidy
 from .workspace import Workspace
 
 FEATURES, WIDTH, RIDGE, BINS, SEED = 160, 3.0, 1e-3, 400, 77
@@ -58,7 +59,7 @@ def measure(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
             ends = pa.array(np.arange(batch.num_rows + 1, dtype=np.int32) * len(STATISTICS))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(ends, pa.array(rows))], ["doc_id", "x"])
 
-    return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, f"doc_id {kind}, x array<double>")
+    return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(tidy(run), f"doc_id {kind}, x array<double>")
 
 
 class FourierFeatures:
@@ -96,7 +97,7 @@ def normal_equations(rows: DataFrame, features: FourierFeatures) -> tuple[np.nda
             values = np.rint(np.concatenate([gram[upper], target, [n]]) * FIXED_POINT)
             yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(values), dtype=np.int32)), pa.array(values.astype(np.int64))], ["cell", "value"])
 
-    sums = rows.select("x", "label").mapInArrow(run, "cell int, value long").groupBy("cell").agg(F.sum(F.col("value").cast("decimal(38,0)")).alias("value"))
+    sums = rows.select("x", "label").mapInArrow(tidy(run), "cell int, value long").groupBy("cell").agg(F.sum(F.col("value").cast("decimal(38,0)")).alias("value"))
     cells = np.zeros(len(upper[0]) + d + 1)
     for r in sums.collect():  # a fixed number of cells
         cells[r["cell"]] = float(r["value"]) / FIXED_POINT
@@ -152,7 +153,7 @@ def train(measured: DataFrame, labels: DataFrame, label_col: str = "quality", he
         for batch in batches:
             yield pa.RecordBatch.from_arrays([pa.array(draft.bins(_matrix(batch.column(0))) if batch.num_rows else np.zeros(0, np.int64)), batch.column(1)], ["bin", "label"])
 
-    tallies = rows.where(F.col("fold") == calibration).select("x", "label").mapInArrow(run, "bin long, label int").groupBy("bin").agg(F.count("*").alias("n"), F.sum("label").alias("s"))
+    tallies = rows.where(F.col("fold") == calibration).select("x", "label").mapInArrow(tidy(run), "bin long, label int").groupBy("bin").agg(F.count("*").alias("n"), F.sum("label").alias("s"))
     counts, sums = np.zeros(BINS), np.zeros(BINS)
     for r in tallies.collect():  # 400 bins at most
         counts[r["bin"]], sums[r["bin"]] = r["n"], r["s"]
@@ -169,7 +170,7 @@ def score_documents(measured: DataFrame, model: QualityModel) -> DataFrame:
             if batch.num_rows:
                 yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(shared.value.scores(_matrix(batch.column(1))))], ["doc_id", "score"])
 
-    return measured.select("doc_id", "x").mapInArrow(run, f"doc_id {kind}, score double")
+    return measured.select("doc_id", "x").mapInArrow(tidy(run), f"doc_id {kind}, score double")
 
 
 def quality_scores(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality") -> DataFrame:

@@ -21,6 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected_components
+from .workers import tidy
 from .workspace import Workspace
 
 #: Fingerprints on which the tree is grown: pivots only, results do not depend on it.
@@ -66,7 +67,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(bits.view(np.int64))], ["doc_id", "fp"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, f"doc_id {kind}, fp long")
+    return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(tidy(run), f"doc_id {kind}, fp long")
 
 
 class VantageTree:
@@ -177,7 +178,7 @@ def links_within(distinct: DataFrame, radius: int, work: Workspace) -> DataFrame
                 [pa.array(leaf.astype(np.int32)), pa.array(points[index].view(np.int64)), pa.array(home.astype(bool))], ["shard", "fp", "home"]
             )
 
-    dealt = work.save(distinct.select("fp").mapInArrow(deal, "shard int, fp long, home boolean"), "dealt")
+    dealt = work.save(distinct.select("fp").mapInArrow(tidy(deal), "shard int, fp long, home boolean"), "dealt")
     sizes = dealt.groupBy("shard").agg(F.ceil(F.count("*") / F.lit(TASK_ROWS)).cast("int").alias("slots"))  # one row a leaf, 4,096 at most
     placed = dealt.join(F.broadcast(sizes), "shard").withColumn("mine", F.pmod(F.xxhash64("fp"), F.col("slots")).cast("int"))
     tasks = placed.select("shard", "fp", "home", "mine", F.explode(F.when(F.col("home"), F.sequence(F.lit(0), F.col("slots") - 1)).otherwise(F.array("mine"))).alias("slot"))
@@ -250,7 +251,7 @@ def sketches(docs: DataFrame, text_col: str, shingle: int) -> DataFrame:
             yield pa.RecordBatch.from_arrays(columns, ["mark", "fp", "size", "bands"])
 
     body = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    return docs.select(F.md5(body.cast("binary")).alias("mark"), body.alias("text")).mapInArrow(run, "mark string, fp long, size long, bands array<long>")
+    return docs.select(F.md5(body.cast("binary")).alias("mark"), body.alias("text")).mapInArrow(tidy(run), "mark string, fp long, size long, bands array<long>")
 
 
 def _shingle_sets(texts: DataFrame, shingle: int) -> DataFrame:
@@ -264,7 +265,7 @@ def _shingle_sets(texts: DataFrame, shingle: int) -> DataFrame:
                 ends = pa.array(np.concatenate([[0], np.cumsum([len(s) for s in sets])]).astype(np.int32))
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(ends, pa.array(np.concatenate(sets)))], ["node", "hashes"])
 
-    return texts.select("node", "text").mapInArrow(run, "node long, hashes array<long>")
+    return texts.select("node", "text").mapInArrow(tidy(run), "node long, hashes array<long>")
 
 
 def near_duplicate_texts(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", shingle: int = 5, similarity: float = 0.8, radius: int = 3) -> tuple[DataFrame, Workspace]:

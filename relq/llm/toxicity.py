@@ -22,6 +22,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .labels import bounded_sample, residue, training_labels
+from .workers import tidy
 
 #: Fixed word lists in the languages of the tables.
 NEGATIONS = frozenset("not never no none nicht kein keine nie pas jamais non nunca ningún don't isn't aren't wasn't".split())
@@ -235,8 +236,9 @@ class ToxicityModel:
     def __init__(self, grammar: Grammar, beta: np.ndarray):
         self.grammar, self.beta = grammar, beta
 
-    def scores(self, texts: list[str | None]) -> np.ndarray:
-        x = np.array([self.grammar.features(t or "") for t in texts]).reshape(len(texts), len(KINDS) + 2)
+    def scores(self, texts: pa.Array) -> np.ndarray:
+        """Of the texts of a column, one at a time."""
+        x = np.array([self.grammar.features(t.as_py() or "") for t in texts]).reshape(len(texts), len(KINDS) + 2)
         return 1 / (1 + np.exp(-np.clip(x @ self.beta[:-1] + self.beta[-1], -40, 40)))
 
 
@@ -262,7 +264,7 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
                 rows = [machines[h].features(bodies[k].as_py()).tolist() for k, h in enumerate(half)]
                 yield pa.RecordBatch.from_arrays([y, pa.array(rows, pa.list_(pa.float64()))], ["label", "x"])
 
-        measured = texts.select("half", "body", "label").mapInArrow(measure, "label int, x array<double>").toPandas()
+        measured = texts.select("half", "body", "label").mapInArrow(tidy(measure), "label int, x array<double>").toPandas()
         texts.unpersist()
     finally:
         known.unpersist()
@@ -282,9 +284,9 @@ def score_documents(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(shared.value.scores(batch.column(1).to_pylist()))], ["doc_id", "score"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(shared.value.scores(batch.column(1)))], ["doc_id", "score"])
 
-    return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, f"doc_id {kind}, score double")
+    return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(tidy(run), f"doc_id {kind}, score double")
 
 
 def keep_clean(docs: DataFrame, model: ToxicityModel, threshold: float = 0.7, text_col: str = "text") -> DataFrame:
@@ -294,9 +296,9 @@ def keep_clean(docs: DataFrame, model: ToxicityModel, threshold: float = 0.7, te
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             texts = batch.column(batch.schema.get_field_index(text_col))
-            yield batch.filter(pa.array(shared.value.scores(texts.to_pylist()) < threshold))
+            yield batch.filter(pa.array(shared.value.scores(texts) < threshold))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(tidy(run), docs.schema)
 
 
 def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:

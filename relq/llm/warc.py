@@ -20,6 +20,7 @@ import pyarrow.fs as pafs
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .workers import tidy
 from .workspace import Workspace
 
 #: Payloads below it are never revisits. Ranges nearer than GAP are read in one go, up to READ bytes.
@@ -99,7 +100,7 @@ def write_archives(records: DataFrame, folder: str) -> DataFrame:
             if out:
                 out.close()
 
-    return records.mapInArrow(run, INDEX.format(kind=kind))
+    return records.mapInArrow(tidy(run), INDEX.format(kind=kind))
 
 
 def coalesce_ranges(ranges: list[tuple[int, int]], gap: int = GAP, most: int = READ) -> Iterator[tuple[int, int, int, int]]:
@@ -167,7 +168,7 @@ def read_records(index: DataFrame, folder: str) -> DataFrame:
                 k = stop_row
 
     archives = index.agg(F.countDistinct("archive")).first()[0]  # a stated number keeps small index rows from meeting in one task
-    return index.select("page_id", "archive", "offset", "length").repartition(max(1, archives), "archive").sortWithinPartitions("archive", "offset").mapInArrow(run, schema)
+    return index.select("page_id", "archive", "offset", "length").repartition(max(1, archives), "archive").sortWithinPartitions("archive", "offset").mapInArrow(tidy(run), schema)
 
 
 def archive_pages(pages: DataFrame, **columns: str) -> tuple[DataFrame, str]:

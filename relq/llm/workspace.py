@@ -1,50 +1,5 @@
-"""Intermediate tables in the folder that all executors share.
+"""Shared tables, as the rest of the library keeps them."""
 
-Iterative operators cut their lineage by writing a Parquet table below
-``spark.checkpoint.dir`` and reading it again; a lost executor then costs a
-re-read, never a recomputation of the whole chain.
-"""
+from relq.plans.workspace import Workspace, shared_dir
 
-from __future__ import annotations
-
-import tempfile
-import uuid
-
-from pyspark.sql import DataFrame, SparkSession
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that ``spark.checkpoint.dir`` names.
-
-    Only in local mode, where driver and executors are one process, an unset
-    folder is replaced by a temporary one.
-    """
-    configured = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
-    if configured:
-        return configured.rstrip("/")
-    if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
-        raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
-    return f"file://{tempfile.gettempdir()}/relq-checkpoints"
-
-
-class Workspace:
-    """Named tables of one operator run, each below its own random folder."""
-
-    def __init__(self, spark: SparkSession, label: str):
-        self.spark = spark
-        self.root = f"{shared_dir(spark)}/relq-{label}-{uuid.uuid4().hex}"
-        self._kept: dict[str, str] = {}
-
-    def path(self, name: str) -> str:
-        return f"{self.root}/{name}"
-
-    def save(self, df: DataFrame, name: str) -> DataFrame:
-        """Writes ``df`` and returns the table as read back, with the same schema."""
-        df.write.mode("overwrite").option("compression", "zstd").parquet(self.path(name))
-        return self.spark.read.schema(df.schema).parquet(self.path(name))
-
-    def drop(self, name: str) -> None:
-        """Deletes one table through Hadoop's file system, so any store works."""
-        jvm = self.spark.sparkContext._jvm
-        path = jvm.org.apache.hadoop.fs.Path(self.path(name))
-        path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+__all__ = ["Workspace", "shared_dir"]
