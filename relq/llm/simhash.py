@@ -27,7 +27,7 @@ from .workspace import Workspace
 #: Fingerprints on which the tree is grown: pivots only, results do not depend on it.
 PIVOT_SAMPLE = 16_384
 #: Fingerprints aimed at in a shard, and rows of one task's comparison.
-SHARD_ROWS, TASK_ROWS = 4_096, 32_768
+SHARD_ROWS, TASK_ROWS = 32_768, 65_536
 MAX_DEPTH = 12
 
 _hash = functools.partial(xxhash.xxh64_intdigest, seed=42)
@@ -268,7 +268,7 @@ def _shingle_sets(texts: DataFrame, shingle: int) -> DataFrame:
     return texts.select("node", "text").mapInArrow(tidy(run), "node long, hashes array<long>")
 
 
-def near_duplicate_texts(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", shingle: int = 5, similarity: float = 0.8, radius: int = 3) -> tuple[DataFrame, Workspace]:
+def near_duplicate_texts(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", shingle: int = 5, similarity: float = 0.8, radius: int = 2) -> tuple[DataFrame, Workspace]:
     """``(mark, root, first_id)`` for every different text: its group, and the smallest id that bears the text.
 
     Equal texts are one node. Fingerprints within ``radius`` bits are candidates
