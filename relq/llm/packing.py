@@ -21,8 +21,10 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .workers import tidy
+
 #: Pieces among which the heuristic chooses; words whose ids a task remembers.
-POOL, WORD_MEMORY = 256, 1_000_000
+POOL, WORD_MEMORY = 256, 2_000_000
 
 
 @dataclass(frozen=True)
@@ -109,6 +111,23 @@ class DotProductPacker:
         return taken
 
 
+@functools.lru_cache(2)
+def _loaded(path: str) -> tuple:
+    """The tokenizer of a file, and which of its ids end a word; kept by the worker."""
+    from tokenizers import Tokenizer
+
+    tokenizer = Tokenizer.from_file(path)
+    vocabulary = tokenizer.get_vocab()
+    ends = np.zeros(max(vocabulary.values()) + 1, bool)
+    ends[[k for token, k in vocabulary.items() if token.endswith("</w>")]] = True
+    return tokenizer, ends
+
+
+def _words(text: bytes) -> list[bytes]:
+    """What white space parts, lower-cased as the tokenizer does itself, so fewer words differ; names of its special tokens stay as they stand."""
+    return text.split() if b"<|" in text else text.lower().split()
+
+
 class WordTokenizer:
     """Ids of whole texts from the ids of their words, remembered by word.
 
@@ -117,18 +136,25 @@ class WordTokenizer:
     """
 
     def __init__(self, path: str, memory: int = WORD_MEMORY):
-        from tokenizers import Tokenizer
-
-        self.tokenizer, self.memory = Tokenizer.from_file(path), memory
-        vocabulary = self.tokenizer.get_vocab()
-        self.ends_word = np.zeros(max(vocabulary.values()) + 1, bool)
-        self.ends_word[[k for token, k in vocabulary.items() if token.endswith("</w>")]] = True
+        (self.tokenizer, self.ends_word), self.memory = _loaded(path), memory
         self._clear()
 
     def _clear(self) -> None:
         self.known: dict[bytes, int] = {}
         self.flat, self.filled = np.empty(1 << 16, np.uint32), 0
-        self.begin, self.count = np.empty(1 << 14, np.int64), np.empty(1 << 14, np.int32)
+        self.begin, self.count, self.uses = np.empty(1 << 14, np.int64), np.empty(1 << 14, np.int32), np.zeros(1 << 14, np.int32)
+
+    def _forget(self) -> None:
+        """Keeps the words that came up in two slices of texts or more; most others never come again."""
+        kept = [(word, k) for word, k in self.known.items() if self.uses[k] > 1]
+        if len(kept) > self.memory // 2:
+            kept = []
+        ids = [self.flat[self.begin[k] : self.begin[k] + self.count[k]] for _, k in kept]
+        uses = self.uses[[k for _, k in kept]]
+        self._clear()
+        if kept:
+            self._remember([word for word, _ in kept], np.concatenate(ids), np.fromiter(map(len, ids), np.int32, len(ids)))
+            self.uses[: len(uses)] = uses
 
     def _encode(self, words: list[str]) -> list[list[int]]:
         return [x.ids for x in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
@@ -136,7 +162,8 @@ class WordTokenizer:
     def _remember(self, words: list[bytes], ids: np.ndarray, counts: np.ndarray) -> None:
         n = len(self.known)
         while n + len(words) > len(self.begin):
-            self.begin, self.count = np.resize(self.begin, 2 * len(self.begin)), np.resize(self.count, 2 * len(self.count))
+            self.begin, self.count, self.uses = (np.resize(x, 2 * len(x)) for x in (self.begin, self.count, self.uses))
+        self.uses[n : n + len(words)] = 0
         while self.filled + len(ids) > len(self.flat):
             self.flat = np.resize(self.flat, 2 * len(self.flat))
         self.flat[self.filled : self.filled + len(ids)] = ids
@@ -147,26 +174,21 @@ class WordTokenizer:
 
     def _learn(self, words: list[bytes]) -> None:
         """Plain words go many to a text, as their ends show in the ids; others go one by one."""
-        plain, parts, other = [], [], []
-        for raw in words:
-            word = raw.decode("utf-8", "replace")
-            if word.isalpha():
-                plain.append((raw, word))
-                parts.append(1)
-            elif word[-1] in ".,!?;:%$#*&" and word[:-1].isalpha():
-                plain.append((raw, word))
-                parts.append(2)
-            else:
-                other.append((raw, word))
-        for k in range(0, len(plain), 512):
-            chunk = plain[k : k + 512]
-            ids = np.array(self._encode([" ".join(w for _, w in chunk)])[0], np.uint32)
-            ends, wanted = np.nonzero(self.ends_word[ids])[0], np.cumsum(parts[k : k + 512])
-            if len(ends) == wanted[-1] and ends[-1] == len(ids) - 1:
-                stops = ends[wanted - 1] + 1
-                self._remember([raw for raw, _ in chunk], ids, np.diff(stops, prepend=0).astype(np.int32))
-            else:
-                other += chunk
+        names = b"\n".join(words).decode("utf-8", "replace").split("\n")
+        alpha = list(map(str.isalpha, names))
+        rest = [(raw, name) for raw, name, plain in zip(words, names, alpha, strict=True) if not plain]
+        marked = [x for x in rest if x[1][-1] in ".,!?;:%$#*&" and x[1][:-1].isalpha()]
+        other = [x for x in rest if not (x[1][-1] in ".,!?;:%$#*&" and x[1][:-1].isalpha())]
+        groups = ((list(itertools.compress(words, alpha)), list(itertools.compress(names, alpha)), 1), ([raw for raw, _ in marked], [name for _, name in marked], 2))
+        for raws, spelled, parts in groups:
+            for k in range(0, len(raws), 2_048):
+                chunk = spelled[k : k + 2_048]
+                ids = np.array(self._encode([" ".join(chunk)])[0], np.uint32)
+                ends = np.nonzero(self.ends_word[ids])[0]
+                if len(ends) == parts * len(chunk) and ends[-1] == len(ids) - 1:
+                    self._remember(raws[k : k + 2_048], ids, np.diff(ends[parts - 1 :: parts] + 1, prepend=0).astype(np.int32))
+                else:
+                    other += zip(raws[k : k + 2_048], chunk, strict=True)
         for k in range(0, len(other), 8_192):
             chunk = other[k : k + 8_192]
             found = self._encode([w for _, w in chunk])
@@ -174,9 +196,9 @@ class WordTokenizer:
             self._remember([raw for raw, _ in chunk], np.fromiter(itertools.chain.from_iterable(found), np.uint32, int(counts.sum())), counts)
 
     def ids(self, texts: list[bytes]) -> list[np.ndarray]:
-        words = [t.split() for t in texts]
+        words = [_words(t) for t in texts]
         if len(self.known) > self.memory:
-            self._clear()
+            self._forget()
         sizes = np.fromiter(map(len, words), np.int64, len(words))
         every = list(itertools.chain.from_iterable(words))
         at = np.fromiter(map(self.known.get, every, itertools.repeat(-1)), np.int32, len(every))
@@ -185,6 +207,9 @@ class WordTokenizer:
             lost = [every[k] for k in missing.tolist()]
             self._learn(list(dict.fromkeys(lost)))
             at[missing] = np.fromiter(map(self.known.__getitem__, lost), np.int32, len(lost))
+        seen = np.zeros(len(self.uses), np.int32)
+        seen[at] = 1
+        self.uses += seen
         count, begin = self.count[at], self.begin[at]
         ends = np.cumsum(count, dtype=np.int64)
         total = int(ends[-1]) if len(ends) else 0
@@ -195,29 +220,31 @@ class WordTokenizer:
         return np.split(flat, cuts[:-1])
 
 
-@functools.lru_cache(2)
-def _tokenizer(path: str) -> WordTokenizer:
+@functools.lru_cache(1)
+def _kept(path: str) -> WordTokenizer:
+    """One tokenizer with its words for all tasks of a worker."""
     return WordTokenizer(path)
 
 
-def pack_documents(docs: DataFrame, tokenizer_path: str, end_id: int = 1, limits: Limits = Limits(), id_col: str = "doc_id", text_col: str = "text", loss_col: str | None = None) -> DataFrame:
+def pack_documents(docs: DataFrame, tokenizer_path: str, end_id: int = 1, limits: Limits = Limits(), id_col: str = "doc_id", text_col: str = "text", loss_col: str | None = None, with_ids: bool = True, keep_words: bool = True) -> DataFrame:
     """One row per piece: where it lies in its document and in its sequence.
 
     Columns ``doc_id, start, length, ids_crc32, doc_tokens, sequence_id,
-    offset, sequence_tokens, loss_tokens, ids``. A null or blank text is its
+    offset, sequence_tokens, loss_tokens`` and, unless left out, ``ids``. A null or blank text is its
     end id alone; a text of any length is cut into as many pieces as needed;
     repeated rows are packed as often as they come (their pieces share a
     doc_id). ``loss_col`` is a boolean: does the row bear loss; null counts as
     true. An empty table gives no pieces. Other columns are not looked at.
 
     Texts are tokenized in slices of about 4 MB, so memory is bounded by the
-    longest text and the pool.
+    longest text, the pool and the words remembered: 2,000,000 a worker, kept
+    from task to task if ``keep_words``, or those of one task.
     """
     kind = docs.schema[id_col].dataType.simpleString()
     loss = F.coalesce(F.col(loss_col).cast("boolean"), F.lit(True)) if loss_col else F.lit(True)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tokenizer, packer = _tokenizer(tokenizer_path), DotProductPacker(limits)
+        tokenizer, packer = (_kept if keep_words else WordTokenizer)(tokenizer_path), DotProductPacker(limits)
         waiting: dict[int, list] = {}  # row: id, ids, tokens not yet placed
         first, rows = TaskContext.get().partitionId() << 36, itertools.count()
         sequence = itertools.count(first)
@@ -230,19 +257,21 @@ def pack_documents(docs: DataFrame, tokenizer_path: str, end_id: int = 1, limits
                 for p in pieces:
                     doc, ids = waiting[p.doc][:2]
                     part = ids[p.start : p.stop]
-                    out.append((doc, p.start, p.stop - p.start, zlib.crc32(part.tobytes()), len(ids), number, offset, total, (p.stop - p.start) * p.loss, part))
+                    out.append((doc, p.start, p.stop - p.start, zlib.crc32(part), len(ids), number, offset, total, (p.stop - p.start) * p.loss, part))
                     offset += p.stop - p.start
                     waiting[p.doc][2] -= p.stop - p.start
                     if not waiting[p.doc][2]:
                         del waiting[p.doc]
 
         def emit() -> pa.RecordBatch:
-            columns = list(zip(*out, strict=True)) or [()] * len(fields)
+            columns = list(zip(*out, strict=True)) or [()] * 10
             out.clear()
-            flat = pa.array(np.concatenate(columns[-1]) if columns[-1] else np.empty(0, np.uint32)).cast(pa.int32())
-            ends = np.concatenate([[0], np.cumsum(columns[2])]).astype(np.int32)
-            arrays = [pa.array(c, t) for c, t in zip(columns[:-1], fields.values(), strict=False)]
-            return pa.RecordBatch.from_arrays([*arrays, pa.ListArray.from_arrays(pa.array(ends), flat)], list(fields))
+            arrays = [pa.array(c, t) for c, t in zip(columns, [t for t in fields.values() if t], strict=False)]
+            if with_ids:
+                flat = np.concatenate(columns[-1]).astype(np.int32) if columns[-1] else np.empty(0, np.int32)
+                ends = np.concatenate([[0], np.cumsum(columns[2])]).astype(np.int32)
+                arrays.append(pa.ListArray.from_arrays(pa.array(ends), pa.array(flat)))
+            return pa.RecordBatch.from_arrays(arrays, list(fields)[: len(arrays)])
 
         fields: dict[str, pa.DataType | None] = {}
         for batch in batches:
@@ -268,8 +297,8 @@ def pack_documents(docs: DataFrame, tokenizer_path: str, end_id: int = 1, limits
             place(packer.close())
             yield emit()
 
-    schema = f"doc_id {kind}, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, sequence_tokens long, loss_tokens long, ids array<int>"
-    return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"), loss.alias("bears_loss")).mapInArrow(run, schema)
+    schema = f"doc_id {kind}, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, sequence_tokens long, loss_tokens long" + ", ids array<int>" * with_ids
+    return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"), loss.alias("bears_loss")).mapInArrow(tidy(run), schema)
 
 
 def vocabulary_path() -> str:
@@ -281,4 +310,4 @@ def vocabulary_path() -> str:
 
 def op2_packing(spark, sf_dir: str) -> DataFrame:
     """All documents in sequences of 2,048 tokens; one row per piece, without its ids."""
-    return pack_documents(spark.read.parquet(f"{sf_dir}/documents.parquet"), vocabulary_path()).drop("ids")
+    return pack_documents(spark.read.parquet(f"{sf_dir}/documents.parquet"), vocabulary_path(), with_ids=False)
