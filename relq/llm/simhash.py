@@ -277,8 +277,8 @@ def near_duplicate_texts(docs: DataFrame, text_col: str = "text", id_col: str =
     so texts that share a band of least hash values are candidates too: each
     with the first and the last node of its bucket. Buckets are parted by size,
     every text standing in two neighbouring classes, as similar sets are of
-    similar size. Candidates are linked if the exact Jaccard similarity of their
-    shingle sets reaches ``similarity``.
+    similar size. Candidates, those of equal fingerprints included, are linked
+    if the exact Jaccard similarity of their shingle sets reaches ``similarity``.
     """
     work = Workspace(docs.sparkSession, "texts")
     ids = docs.select(F.md5(F.coalesce(F.col(text_col).cast("string"), F.lit("")).cast("binary")).alias("mark"), F.col(id_col).alias("id"))
@@ -292,6 +292,7 @@ def near_duplicate_texts(docs: DataFrame, text_col: str = "text", id_col: str =
     near = links_within(points.select("fp"), radius, work)
     ends = [points.select(F.col("fp").alias(x), F.col("first").alias(f"node_{x}")) for x in "ab"]
     hamming = near.join(ends[0], "a").join(ends[1], "b").select(F.col("node_a").alias("node"), F.col("node_b").alias("hub"))
+    hamming = hamming.unionByName(equal.select(F.col("a").alias("node"), F.col("b").alias("hub")))
 
     step = math.log(1 / similarity) + 1e-9
     grade = F.floor(F.log(F.greatest("size", F.lit(1))) / step)
@@ -309,7 +310,7 @@ def near_duplicate_texts(docs: DataFrame, text_col: str = "text", id_col: str =
     sized = pairs.join(sets, "node").withColumnRenamed("hashes", "left").join(sets.select(F.col("node").alias("hub"), F.col("hashes").alias("right")), "hub")
     shared = F.size(F.array_intersect("left", "right"))
     alike = sized.select("node", "hub", shared.alias("s"), (F.size("left") + F.size("right")).alias("t")).where(F.col("s") >= similarity * (F.col("t") - F.col("s")) - 1e-9)
-    links = equal.where("a <> b").unionByName(alike.select(F.col("node").alias("a"), F.col("hub").alias("b")))
+    links = alike.select(F.col("node").alias("a"), F.col("hub").alias("b"))
     roots = connected_components(work.save(links, "links"), work)
     named = nodes.select("node", "mark").join(roots, "node", "left").select("mark", F.coalesce("root", "node").alias("root"))
     return work.save(named.join(firsts, "mark"), "groups"), work

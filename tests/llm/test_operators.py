@@ -102,6 +102,14 @@ def test_components_of_long_chains(spark):
     assert connected_components(spark.createDataFrame([], "a long, b long"), Workspace(spark, "t")).count() == 0
 
 
+def test_equal_fingerprints_alone_make_no_near_duplicates(spark):
+    common = "one two three four five six seven " * 400
+    texts = [common + " ".join(f"{who}{k}" for k in range(12)) for who in ("ada", "bob")]
+    assert len({simhash.majority_bits(simhash.shingle_hashes(t.encode(), 5)) for t in texts}) == 1
+    rows = spark.createDataFrame([(k, t, "en", "web", len(t)) for k, t in enumerate([*texts, texts[0]])], "doc_id long, text string, lang string, source string, n_chars long")
+    assert sorted(r.doc_id for r in simhash.keep_one_of_each(rows).collect()) == [0, 1]
+
+
 def test_one_of_each_near_duplicate_group_stays(spark, odd, empty):
     text = prose(300, 99)
     near = text.replace(text.split()[150], "changed", 1)
