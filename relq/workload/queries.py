@@ -438,6 +438,12 @@ def heuristics_compare(s, d):
     return s.createDataFrame(rows, "method string, weight double")
 
 
+@query(f"SELECT m, round(regr_slope(log10(total_df), rung), 6) AS slope FROM ({_WORKLOAD}) GROUP BY m")
+def keyword_node_growth(s, d):
+    """Slope of the logarithm of keyword nodes over the rungs of the workload."""
+    return workload_100(s, d).groupBy("m").agg(F.round(F.regr_slope(F.log10("total_df"), F.col("rung")), 6).alias("slope"))
+
+
 def content_batch(s, d, ids: list[int]) -> tuple[RelGraph, DataFrame, dict[int, int]]:
     """The document graph, and seeds of the workload queries named; all queries search in one loop."""
     g = builders.content_graph(s, d)
