@@ -268,17 +268,79 @@ def _shingle_sets(texts: DataFrame, shingle: int) -> DataFrame:
     return texts.select("node", "text").mapInArrow(tidy(run), "node long, hashes array<long>")
 
 
+#: Texts and shingles of one block of a bucket; a task compares two blocks.
+BLOCK_TEXTS, BLOCK_SHINGLES = 512, 1_000_000
+
+
+def shared_counts(owner: np.ndarray, hashes: np.ndarray, n: int) -> np.ndarray:
+    """How many values each two of ``n`` sets share, of all values and the sets that own them.
+
+    Values of the same owners are one column with their number as its weight,
+    so a passage that many texts share costs as much as a single shingle.
+    """
+    _, value, times = np.unique(hashes, return_inverse=True, return_counts=True)
+    marks = np.zeros(len(times), np.uint64)
+    np.add.at(marks, value, np.random.default_rng(7).integers(1, 1 << 63, n, dtype=np.uint64)[owner])
+    used = np.flatnonzero(times > 1)
+    _, first, column = np.unique(marks[used], return_index=True, return_inverse=True)
+    weight = np.bincount(column, minlength=len(first)).astype(float)
+    column_of = np.full(len(times), -1)
+    column_of[used[first]] = np.arange(len(first))
+    spots = column_of[value]
+    owner, spots = owner[spots >= 0], spots[spots >= 0]
+    order = np.argsort(spots)
+    owner, spots = owner[order], spots[order]
+    out = np.zeros((n, n))
+    for k in range(0, len(first), 2_048):
+        low, high = np.searchsorted(spots, [k, k + 2_048])
+        part = weight[k : k + 2_048]
+        dense = np.zeros((n, len(part)))
+        dense[owner[low:high], spots[low:high] - k] = 1
+        out += (dense * part) @ dense.T
+    return out
+
+
+def links_in_buckets(members: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """Links ``(a, b)`` of roots, from all pairs of ``members(bucket, node, home, size, root)`` that meet in a bucket.
+
+    A pair with at least one end at home is compared by its ``sets(node,
+    hashes)`` unless both ends have the same root already; buckets of a single
+    root are left. A large bucket is cut into blocks, and every two blocks are
+    a task of their own, which emits a spanning forest of the links it verified.
+    """
+    slots = F.ceil(F.greatest(F.count("*") / F.lit(BLOCK_TEXTS), F.sum("size") / F.lit(BLOCK_SHINGLES))).cast("int")
+    mixed = members.groupBy("bucket").agg(F.min("root").alias("low"), F.max("root").alias("high"), slots.alias("slots")).where("low < high").select("bucket", "slots")
+    placed = members.join(mixed, "bucket").withColumn("mine", F.pmod(F.xxhash64("node"), F.col("slots")).cast("int"))
+    others = F.filter(F.sequence(F.lit(0), F.col("slots") - 1), lambda k: (k != F.col("mine")) | (F.col("slots") == 1))
+    tasks = placed.select("bucket", "node", "home", "root", "mine", F.explode(others).alias("other"))
+    tasks = tasks.select("bucket", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), "node", "home", "root")
+
+    def compare(table: pa.Table) -> pa.Table:
+        hashes = table.column("hashes").combine_chunks()
+        sizes = np.diff(hashes.offsets.to_numpy()).astype(np.int64)
+        home, root = table.column("home").to_numpy(), table.column("root").to_numpy()
+        shared = shared_counts(np.repeat(np.arange(len(sizes)), sizes), hashes.flatten().to_numpy(), len(sizes))
+        linked = shared >= similarity * (sizes[:, None] + sizes - shared) - 1e-9
+        linked &= (root[:, None] != root) & (home[:, None] | home)
+        a, b = np.nonzero(linked)
+        return pa.Table.from_pandas(spanning_links(root[a], root[b]), preserve_index=False)
+
+    return tasks.join(sets, "node").groupBy("bucket", "i", "j").applyInArrow(compare, "a long, b long")
+
+
 def near_duplicate_texts(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", shingle: int = 5, similarity: float = 0.8, radius: int = 2) -> tuple[DataFrame, Workspace]:
     """``(mark, root, first_id)`` for every different text: its group, and the smallest id that bears the text.
 
     Equal texts are one node. Fingerprints within ``radius`` bits are candidates
     by vantage-point shards. A similarity of 0.8 lets a fingerprint of five-word
     shingles differ in up to some 14 bits, where triangle bounds prune nothing,
-    so texts that share a band of least hash values are candidates too: each
-    with the first and the last node of its bucket. Buckets are parted by size,
-    every text standing in two neighbouring classes, as similar sets are of
-    similar size. Candidates, those of equal fingerprints included, are linked
-    if the exact Jaccard similarity of their shingle sets reaches ``similarity``.
+    so texts that share a band of least hash values are candidates too. Buckets
+    are parted by size, every text standing in two neighbouring classes, as
+    similar sets are of similar size. Candidates, those of equal fingerprints
+    included, are linked if the exact Jaccard similarity of their shingle sets
+    reaches ``similarity``. Each text is first compared with the first and the
+    last node of its bucket, which joins groups of copies; then all pairs of a
+    bucket that are not joined yet are.
     """
     work = Workspace(docs.sparkSession, "texts")
     ids = docs.select(F.md5(F.coalesce(F.col(text_col).cast("string"), F.lit("")).cast("binary")).alias("mark"), F.col(id_col).alias("id"))
@@ -298,21 +360,32 @@ def near_duplicate_texts(docs: DataFrame, text_col: str = "text", id_col: str =
     grade = F.floor(F.log(F.greatest("size", F.lit(1))) / step)
     banded = nodes.select("node", grade.alias("grade"), F.posexplode("bands").alias("band", "key"))
     keyed = banded.select("node", F.explode(F.array(*[F.xxhash64("band", "key", F.col("grade") + k) for k in (0, 1)])).alias("bucket"))
-    hubs = keyed.groupBy("bucket").agg(F.min("node").alias("low"), F.max("node").alias("high")).where("low < high")
-    sought = keyed.join(hubs, "bucket").select("node", F.explode(F.array("low", "high")).alias("hub")).unionByName(hamming)
+    # buckets of the same members are one
+    hubs = keyed.groupBy("bucket").agg(F.min("node").alias("low"), F.max("node").alias("high"), F.count("*").alias("n"), *[F.bit_xor(F.xxhash64("node", F.lit(k))).alias(f"mark{k}") for k in (0, 1)])
+    hubs = hubs.where("low < high").groupBy("low", "high", "n", "mark0", "mark1").agg(F.min("bucket").alias("bucket")).select("bucket", "low", "high")
+    crowded = work.save(keyed.join(hubs, "bucket"), "crowded")
+    sought = crowded.select("node", F.explode(F.array("low", "high")).alias("hub")).unionByName(hamming)
     pairs = work.save(sought.where("node <> hub").select(F.least("node", "hub").alias("node"), F.greatest("node", "hub").alias("hub")).distinct(), "pairs")
-    wanted = pairs.select("node").unionByName(pairs.select(F.col("hub").alias("node"))).distinct().join(nodes.select("node", "mark"), "node")
+    wanted = pairs.select("node").unionByName(pairs.select(F.col("hub").alias("node"))).distinct()
     body = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
     texts = docs.select(F.md5(body.cast("binary")).alias("mark"), F.struct(F.col(id_col).alias("i"), body.alias("text")).alias("row"))
-    keepers = wanted.join(firsts, "mark")
-    some = texts.join(keepers, "mark").where(F.col("row.i").eqNullSafe(F.col("first_id"))).select("node", "row.text")
-    sets = work.save(_shingle_sets(some, shingle), "sets").dropDuplicates(["node"])
+
+    def sets_of(wanted: DataFrame, name: str) -> DataFrame:
+        keepers = wanted.join(nodes.select("node", "mark"), "node").join(firsts, "mark")
+        some = texts.join(keepers, "mark").where(F.col("row.i").eqNullSafe(F.col("first_id"))).select("node", "row.text")
+        return work.save(_shingle_sets(some, shingle), name).dropDuplicates(["node"])
+
+    sets = sets_of(wanted, "sets")
     sized = pairs.join(sets, "node").withColumnRenamed("hashes", "left").join(sets.select(F.col("node").alias("hub"), F.col("hashes").alias("right")), "hub")
     shared = F.size(F.array_intersect("left", "right"))
     alike = sized.select("node", "hub", shared.alias("s"), (F.size("left") + F.size("right")).alias("t")).where(F.col("s") >= similarity * (F.col("t") - F.col("s")) - 1e-9)
     links = alike.select(F.col("node").alias("a"), F.col("hub").alias("b"))
     roots = connected_components(work.save(links, "links"), work)
-    named = nodes.select("node", "mark").join(roots, "node", "left").select("mark", F.coalesce("root", "node").alias("root"))
+    rooted = work.save(nodes.select("node", "mark", "fp", "size").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node")), "rooted")
+
+    members = work.save(crowded.select("bucket", "node", F.lit(True).alias("home")).join(rooted.select("node", "size", "root"), "node"), "members")
+    more = connected_components(work.save(links_in_buckets(members, sets, similarity), "more"), work)
+    named = rooted.select("mark", "root").join(more.select(F.col("node").alias("root"), F.col("root").alias("top")), "root", "left").select("mark", F.coalesce("top", "root").alias("root"))
     return work.save(named.join(firsts, "mark"), "groups"), work
 
 

@@ -110,6 +110,30 @@ def test_equal_fingerprints_alone_make_no_near_duplicates(spark):
     assert sorted(r.doc_id for r in simhash.keep_one_of_each(rows).collect()) == [0, 1]
 
 
+def jaccard(a, b):
+    a, b = ({tuple(w[k : k + 5]) for k in range(len(w) - 4)} for w in (a.split(), b.split()))
+    return len(a & b) / len(a | b)
+
+
+def test_copies_are_found_among_texts_that_share_a_passage(spark):
+    passage, texts = prose(600, 500), []
+    for k in range(60):
+        text = f"{passage} {prose(100, 600 + k)}"
+        words = text.split()
+        words[620:680] = prose(60, 700 + k).split()
+        texts += [text, " ".join(words)]
+    assert all(jaccard(texts[k], texts[k + 1]) >= 0.8 > max(jaccard(texts[k], x) for x in texts[k + 2 :]) for k in (0, 50, 100))
+    kept = simhash.keep_one_of_each(frame(spark, list(enumerate(texts))))
+    assert sorted(r.doc_id for r in kept.collect()) == list(range(0, 120, 2))
+
+
+def test_shared_counts_in_sets():
+    rng = np.random.default_rng(3)
+    sets = [np.unique(np.concatenate([rng.integers(0, 60, 20), np.arange(100, 130)])) for _ in range(9)] + [np.empty(0, int)]
+    got = simhash.shared_counts(np.repeat(np.arange(10), [len(x) for x in sets]), np.concatenate(sets), 10)
+    assert all(got[i, j] == len(np.intersect1d(sets[i], sets[j])) for i in range(10) for j in range(10) if i != j)
+
+
 def test_one_of_each_near_duplicate_group_stays(spark, odd, empty):
     text = prose(300, 99)
     near = text.replace(text.split()[150], "changed", 1)
