@@ -157,13 +157,16 @@ def spanning_links(left: np.ndarray, right: np.ndarray) -> pd.DataFrame:
     return pd.DataFrame([(x, find(x)) for x in parent if find(x) != x], columns=["a", "b"], dtype="int64")
 
 
-def links_within(distinct: DataFrame, radius: int, work: Workspace) -> DataFrame:
+def links_within(distinct: DataFrame, radius: int, work: Workspace, pairs: bool = False) -> DataFrame:
     """Edges ``(a, b)`` whose components equal those of all pairs of ``distinct(fp)`` within ``radius`` bits.
 
     A shard of a task emits a spanning forest, so a group of copies costs as
     many edges as it has members. Large shards are dealt to several tasks: the
-    home side is repeated, each query goes to one of them.
+    home side is repeated, each query goes to one of them. With ``pairs`` the
+    edges are the pairs of ``distinct(fp, team)`` themselves, once each, the
+    lesser first, but for those of one team; teams below zero are no teams.
     """
+    names = ["fp", "team"] if pairs else ["fp"]
     spark = distinct.sparkSession
     n = distinct.count()
     sample = distinct.orderBy(F.xxhash64("fp"), "fp").limit(PIVOT_SAMPLE).toPandas()["fp"].to_numpy(np.int64).view(np.uint64)
@@ -174,22 +177,26 @@ def links_within(distinct: DataFrame, radius: int, work: Workspace) -> DataFrame
         for batch in batches:
             points = batch.column(0).to_numpy().view(np.uint64)
             leaf, index, home = shared.value.route(points, radius)
-            yield pa.RecordBatch.from_arrays(
-                [pa.array(leaf.astype(np.int32)), pa.array(points[index].view(np.int64)), pa.array(home.astype(bool))], ["shard", "fp", "home"]
-            )
+            columns = [column.to_numpy()[index] for column in batch.columns]
+            yield pa.RecordBatch.from_arrays([pa.array(leaf.astype(np.int32)), pa.array(home.astype(bool)), *map(pa.array, columns)], ["shard", "home", *names])
 
-    dealt = work.save(distinct.select("fp").mapInArrow(tidy(deal), "shard int, fp long, home boolean"), "dealt")
+    dealt = work.save(distinct.select(*names).mapInArrow(tidy(deal), f"shard int, home boolean, {', '.join(f'{n} long' for n in names)}"), "dealt")
     sizes = dealt.groupBy("shard").agg(F.ceil(F.count("*") / F.lit(TASK_ROWS)).cast("int").alias("slots"))  # one row a leaf, 4,096 at most
     placed = dealt.join(F.broadcast(sizes), "shard").withColumn("mine", F.pmod(F.xxhash64("fp"), F.col("slots")).cast("int"))
-    tasks = placed.select("shard", "fp", "home", "mine", F.explode(F.when(F.col("home"), F.sequence(F.lit(0), F.col("slots") - 1)).otherwise(F.array("mine"))).alias("slot"))
+    tasks = placed.select("shard", *names, "home", "mine", F.explode(F.when(F.col("home"), F.sequence(F.lit(0), F.col("slots") - 1)).otherwise(F.array("mine"))).alias("slot"))
 
     def compare(rows: pd.DataFrame) -> pd.DataFrame:
-        points = rows["fp"].to_numpy(np.int64)
-        homes, queries = points[rows["home"].to_numpy(bool)], points[(rows["mine"] == rows["slot"]).to_numpy(bool)]
+        points, is_home, is_query = rows["fp"].to_numpy(np.int64), rows["home"].to_numpy(bool), (rows["mine"] == rows["slot"]).to_numpy(bool)
+        homes, queries = points[is_home], points[is_query]
         found = _close(queries.view(np.uint64), homes.view(np.uint64), radius)
         if not found:
             return pd.DataFrame({"a": [], "b": []}, dtype="int64")
         i, j = (np.concatenate(x) for x in zip(*found, strict=True))
+        if pairs:
+            team = rows["team"].to_numpy(np.int64)
+            left, right = team[is_query][i], team[is_home][j]
+            keep = (queries[i] < homes[j]) & ((left != right) | (left < 0))
+            return pd.DataFrame({"a": queries[i[keep]], "b": homes[j[keep]]})
         keep = queries[i] != homes[j]
         return spanning_links(queries[i[keep]], homes[j[keep]])
 
@@ -331,16 +338,16 @@ def links_in_buckets(members: DataFrame, sets: DataFrame, similarity: float) ->
 def near_duplicate_texts(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", shingle: int = 5, similarity: float = 0.8, radius: int = 2) -> tuple[DataFrame, Workspace]:
     """``(mark, root, first_id)`` for every different text: its group, and the smallest id that bears the text.
 
-    Equal texts are one node. Fingerprints within ``radius`` bits are candidates
-    by vantage-point shards. A similarity of 0.8 lets a fingerprint of five-word
+    Equal texts are one node. Texts of fingerprints within ``radius`` bits are
+    candidates by vantage-point shards, every pair of them. A similarity of 0.8 lets a fingerprint of five-word
     shingles differ in up to some 14 bits, where triangle bounds prune nothing,
     so texts that share a band of least hash values are candidates too. Buckets
     are parted by size, every text standing in two neighbouring classes, as
     similar sets are of similar size. Candidates, those of equal fingerprints
     included, are linked if the exact Jaccard similarity of their shingle sets
     reaches ``similarity``. Each text is first compared with the first and the
-    last node of its bucket, which joins groups of copies; then all pairs of a
-    bucket that are not joined yet are.
+    last node of its bucket and the first of its fingerprint, which joins groups
+    of copies; then all candidate pairs that are not joined yet are.
     """
     work = Workspace(docs.sparkSession, "texts")
     ids = docs.select(F.md5(F.coalesce(F.col(text_col).cast("string"), F.lit("")).cast("binary")).alias("mark"), F.col(id_col).alias("id"))
@@ -349,12 +356,8 @@ def near_duplicate_texts(docs: DataFrame, text_col: str = "text", id_col: str =
     different = marked.groupBy("mark").agg(F.first("fp").alias("fp"), F.first("size").alias("size"), F.first("bands").alias("bands"))
     nodes = work.save(different.withColumn("node", F.monotonically_increasing_id()), "nodes")
 
-    points = work.save(nodes.groupBy("fp").agg(F.min("node").alias("first")), "points")
-    equal = nodes.select("node", "fp").join(points, "fp").select(F.col("node").alias("a"), F.col("first").alias("b"))
-    near = links_within(points.select("fp"), radius, work)
-    ends = [points.select(F.col("fp").alias(x), F.col("first").alias(f"node_{x}")) for x in "ab"]
-    hamming = near.join(ends[0], "a").join(ends[1], "b").select(F.col("node_a").alias("node"), F.col("node_b").alias("hub"))
-    hamming = hamming.unionByName(equal.select(F.col("a").alias("node"), F.col("b").alias("hub")))
+    points = nodes.groupBy("fp").agg(F.min("node").alias("first"))
+    equal = nodes.select("node", "fp").join(points, "fp").select("node", F.col("first").alias("hub"))
 
     step = math.log(1 / similarity) + 1e-9
     grade = F.floor(F.log(F.greatest("size", F.lit(1))) / step)
@@ -364,7 +367,7 @@ def near_duplicate_texts(docs: DataFrame, text_col: str = "text", id_col: str =
     hubs = keyed.groupBy("bucket").agg(F.min("node").alias("low"), F.max("node").alias("high"), F.count("*").alias("n"), *[F.bit_xor(F.xxhash64("node", F.lit(k))).alias(f"mark{k}") for k in (0, 1)])
     hubs = hubs.where("low < high").groupBy("low", "high", "n", "mark0", "mark1").agg(F.min("bucket").alias("bucket")).select("bucket", "low", "high")
     crowded = work.save(keyed.join(hubs, "bucket"), "crowded")
-    sought = crowded.select("node", F.explode(F.array("low", "high")).alias("hub")).unionByName(hamming)
+    sought = crowded.select("node", F.explode(F.array("low", "high")).alias("hub")).unionByName(equal)
     pairs = work.save(sought.where("node <> hub").select(F.least("node", "hub").alias("node"), F.greatest("node", "hub").alias("hub")).distinct(), "pairs")
     wanted = pairs.select("node").unionByName(pairs.select(F.col("hub").alias("node"))).distinct()
     body = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
@@ -383,7 +386,17 @@ def near_duplicate_texts(docs: DataFrame, text_col: str = "text", id_col: str =
     roots = connected_components(work.save(links, "links"), work)
     rooted = work.save(nodes.select("node", "mark", "fp", "size").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node")), "rooted")
 
-    members = work.save(crowded.select("bucket", "node", F.lit(True).alias("home")).join(rooted.select("node", "size", "root"), "node"), "members")
+    # pairs within the radius: the texts of a fingerprint are at home in its bucket, those of greater ones near it visit
+    teams = work.save(rooted.groupBy("fp").agg(F.min("root").alias("low"), F.max("root").alias("high")), "teams")
+    near = work.save(links_within(teams.select("fp", F.when(F.col("low") == F.col("high"), F.col("low")).otherwise(-1).alias("team")), radius, work, pairs=True), "near")
+    hosts = near.select("a").unionByName(teams.where("low < high").select(F.col("fp").alias("a"))).distinct().withColumn("b", F.col("a"))
+    meeting = near.unionByName(hosts).select(F.xxhash64(F.lit("fp"), "a").alias("bucket"), F.col("b").alias("fp"), (F.col("a") == F.col("b")).alias("home"))
+    meeting = meeting.join(rooted.select("fp", "node", "size", "root"), "fp").select("bucket", "node", "home", "size", "root")
+    banded = crowded.select("bucket", "node", F.lit(True).alias("home")).join(rooted.select("node", "size", "root"), "node")
+    members = work.save(banded.unionByName(meeting.select(*banded.columns)), "members")
+    rest = work.save(members.select("node").distinct().join(sets.select("node"), "node", "left_anti"), "rest")
+    if not rest.isEmpty():
+        sets = sets.unionByName(sets_of(rest, "more_sets"))
     more = connected_components(work.save(links_in_buckets(members, sets, similarity), "more"), work)
     named = rooted.select("mark", "root").join(more.select(F.col("node").alias("root"), F.col("root").alias("top")), "root", "left").select("mark", F.coalesce("top", "root").alias("root"))
     return work.save(named.join(firsts, "mark"), "groups"), work

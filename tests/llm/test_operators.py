@@ -127,6 +127,29 @@ def test_copies_are_found_among_texts_that_share_a_passage(spark):
     assert sorted(r.doc_id for r in kept.collect()) == list(range(0, 120, 2))
 
 
+def test_copies_are_found_among_equal_fingerprints(spark, monkeypatch):
+    monkeypatch.setattr(simhash, "band_keys", lambda hashes: np.random.default_rng(int(hashes.sum() % 2**32)).integers(0, 1 << 63, simhash.BANDS, dtype=np.uint64))
+    common = "one two three four five six seven " * 400
+    texts = [common + " ".join(f"{who}{k}" for k in range(60)) for who in ("ada", "bob", "cyd", "dan")]
+    rows = [(2 * k + j, t + " end" * j) for k, t in enumerate(texts) for j in (0, 1)]
+    assert len({simhash.majority_bits(simhash.shingle_hashes(t.encode(), 5)) for _, t in rows}) == 1
+    groups, _ = simhash.near_duplicate_texts(frame(spark, rows))
+    roots = {r.first_id: r.root for r in groups.collect()}
+    assert len(roots) == 8 and len(set(roots.values())) == 4 and all(roots[k] == roots[k + 1] for k in (0, 2, 4, 6))
+
+
+def test_pairs_within_two_bits(spark):
+    rng = np.random.default_rng(5)
+    base = rng.integers(0, 1 << 63, 30, dtype=np.uint64)
+    points = np.unique(np.concatenate([base, *[base ^ np.uint64((1 << k) | (1 << (k + 5))) for k in range(0, 12, 3)], *[base ^ np.uint64(1 << k) for k in (0, 7)]])).view(np.int64)
+    teams = [-1 if k % 3 else k % 2 for k in range(len(points))]
+    rows = spark.createDataFrame([(int(p), t) for p, t in zip(points, teams, strict=True)], "fp long, team long")
+    got = sorted((r.a, r.b) for r in simhash.links_within(rows, 2, Workspace(spark, "t"), pairs=True).collect())
+    far = np.bitwise_count(points[:, None] ^ points)
+    n = len(points)
+    assert got == sorted((int(points[i]), int(points[j])) for i in range(n) for j in range(n) if points[i] < points[j] and far[i, j] <= 2 and (teams[i] != teams[j] or teams[i] < 0)) and len(got) > 100
+
+
 def test_shared_counts_in_sets():
     rng = np.random.default_rng(3)
     sets = [np.unique(np.concatenate([rng.integers(0, 60, 20), np.arange(100, 130)])) for _ in range(9)] + [np.empty(0, int)]
