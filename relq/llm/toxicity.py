@@ -37,7 +37,6 @@ BEGINNINGS = (4, 5)
 PRIOR_WEIGHT = 2.0
 CLAUSE_END = re.compile(r"[.!?;:,\n]+")
 WORD = re.compile(r"[^\W\d_]+(?:'[^\W\d_]+)?")
-PUNCTUATION = dict.fromkeys(map(ord, "!\"#$%&()*+,-./:;<=>?@[\\]^_`{|}~0123456789“”«»…"), " ")
 
 SYMBOLS = ("other", "insult", "threat", "target", "negation", "report")
 KINDS = tuple(f"{base}{mark}" for base in ("insult", "threat") for mark in ("", "+target", "-negated", "-reported"))
@@ -138,7 +137,7 @@ class Grammar:
         return "other", 0.0
 
     def may_match(self, lowered: str) -> bool:
-        words = set(lowered.translate(PUNCTUATION).split())
+        words = set(WORD.findall(lowered))
         if not self.quick.isdisjoint(words):
             return True
         return any(starts and not starts.isdisjoint([w[:n] for w in words if len(w) > BEGINNINGS[-1]]) for n, starts in self.starts.items())

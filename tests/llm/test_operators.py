@@ -368,6 +368,14 @@ def test_clause_machine_tells_kinds_apart():
     assert grammar.features("she said. you idiot")[toxicity.KINDS.index("insult+target")] > 0
 
 
+def test_matches_next_to_any_mark_count():
+    grammar = toxicity.Grammar({"grobn*": 3.0, "vilquist": 2.5})
+    for insult in ("idiot", "vilquist", "grobnakish"):
+        for text in ("'{}'", "{}—you", "¡{}!", "{}’", "‘{}’", "a–{}–b", "¿{}?", "a·{}"):
+            assert grammar.features(text.format(insult)).any(), (text, insult)
+    assert not grammar.features("a fine — 'day' grob").any()
+
+
 def test_quality_on_held_out_documents(spark, odd, empty):
     docs, labels = labelled(spark, 400)
     scores = {r.doc_id: r.score for r in quality.quality_scores(docs, labels).collect()}
