@@ -1,6 +1,7 @@
 """Licence notices and texts in documents, by the Dice coefficient over word bigrams.
 
-Lines, and blocks of lines between blank ones, are compared with templates.
+Lines, blocks of lines between blank ones, and runs of blocks are compared with
+templates.
 Dice over multisets is 2 s / (n + t) with s shared bigrams, so a segment of n
 bigrams can only reach d with a template whose t lies in [n d / (2 - d),
 n (2 - d) / d]; other templates are pruned before anything is counted.
@@ -43,6 +44,7 @@ TEMPLATES = (
 THRESHOLD = 0.8
 #: Mean length of the words of a block above which it resembles no licence.
 LONGEST_WORD = 24
+BLANK_LINE = r"\n\s*\n"
 
 
 def normal_words(text: Column) -> Column:
@@ -76,11 +78,36 @@ def segments(docs: DataFrame, longest: int, id_col: str, text_col: str) -> DataF
     return both.where((F.size("words") > 1) & (F.size("words") <= longest + 1))
 
 
+def block_runs(docs: DataFrame, bigrams: DataFrame, threshold: float, id_col: str, text_col: str) -> DataFrame:
+    """``(doc_id, level, part, last, text_no, words)``: runs of two blocks or more, from block ``part`` to block ``last``.
+
+    A run reaches the threshold only with a template of which it, and so its
+    text, holds d / (2 - d) of the bigrams. All runs of a text that does are
+    taken, up to the longest that such a template allows.
+    """
+    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
+    rows = docs.select(F.col(id_col).alias("doc_id"), text.alias("body"), F.xxhash64(text).alias("text_no")).where(F.col("body").rlike(BLANK_LINE))
+    spots = rows.select("doc_id", "text_no", normal_words(F.col("body")).alias("w")).select("doc_id", "text_no", "w", F.posexplode("w").alias("k", "word"))
+    pairs = spots.select("doc_id", "text_no", F.xxhash64("word", F.get("w", F.col("k") + 1)).alias("bigram"))
+    held = pairs.join(F.broadcast(bigrams), "bigram").groupBy("doc_id", "text_no", "template", "template_size", "bigram", "template_count").agg(F.count("*").alias("n"))
+    held = held.groupBy("doc_id", "text_no", "template", "template_size").agg(F.sum(F.least("n", "template_count")).alias("s"))
+    may = held.where(F.col("s") * (2 - threshold) >= F.col("template_size") * threshold - 1e-9).groupBy("text_no").agg(F.floor(F.max("template_size") * (2 - threshold) / threshold + 2).cast("int").alias("most"))
+    blocks = F.filter(F.transform(F.split("body", BLANK_LINE), normal_words), lambda w: F.size(w) > 0)
+    cut = rows.join(may, "text_no").select("doc_id", "text_no", "most", blocks.alias("blocks")).withColumn("sizes", F.transform("blocks", F.size))
+    starts = cut.select("*", F.posexplode("sizes").alias("part", "size")).where((F.col("size") < F.col("most")) & (F.col("part") + 1 < F.size("sizes")))
+    # each block has a word at least, so no run is longer than the words allowed
+    near = starts.withColumn("blocks", F.slice("blocks", F.col("part") + 1, F.col("most"))).withColumn("sizes", F.slice("sizes", F.col("part") + 1, F.col("most")))
+    runs = near.select("doc_id", "text_no", "most", "part", "blocks", "sizes", F.explode(F.sequence(F.lit(2), F.size("sizes"))).alias("n"))
+    runs = runs.where(F.aggregate(F.slice("sizes", F.lit(1), F.col("n")), F.lit(0), lambda total, x: total + x) <= F.col("most"))
+    words = F.flatten(F.slice("blocks", F.lit(1), F.col("n")))
+    return runs.select("doc_id", F.lit("run").alias("level"), "part", (F.col("part") + F.col("n") - 1).alias("last"), "text_no", words.alias("words"))
+
+
 def license_matches(docs: DataFrame, templates: DataFrame, threshold: float = THRESHOLD, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``doc_id, license, dice, level, n_segments``: for each document and licence the best segment, and how many reach the threshold.
 
     A segment counts for the template it resembles most (ties: the earlier
-    template). Null and blank texts and segments of under two words match
+    template); runs of blocks that begin at the same block count once. Null and blank texts and segments of under two words match
     nothing; repeated rows count once for an id and text; null ids stay null.
     Empty tables give no rows; other columns are not looked at. Templates are
     broadcast: their table is checked to be at most 20,000 rows.
@@ -89,11 +116,12 @@ def license_matches(docs: DataFrame, templates: DataFrame, threshold: float = TH
         raise ValueError("more than 20,000 templates cannot be broadcast")
     bigrams = template_bigrams(templates)
     longest = int((bigrams.agg(F.max("template_size")).first()[0] or 0) * (2 - threshold) / threshold) + 1
-    cut = segments(docs, longest, id_col, text_col).withColumn("size", F.size("words") - 1)
-    spots = cut.select("doc_id", "text_no", "level", "part", "size", "words", F.posexplode("words").alias("k", "word")).where(F.col("k") < F.col("size"))
+    cut = segments(docs, longest, id_col, text_col).withColumn("last", F.col("part"))
+    cut = cut.unionByName(block_runs(docs, bigrams, threshold, id_col, text_col)).withColumn("size", F.size("words") - 1)
+    spots = cut.select("doc_id", "text_no", "level", "part", "last", "size", "words", F.posexplode("words").alias("k", "word")).where(F.col("k") < F.col("size"))
     found = spots.withColumn("bigram", F.xxhash64("word", F.get("words", F.col("k") + 1))).drop("words", "word", "k")
     may = (F.col("template_size") * threshold <= F.col("size") * (2 - threshold) + 1e-9) & (F.col("size") * threshold <= F.col("template_size") * (2 - threshold) + 1e-9)
-    key = ["doc_id", "text_no", "level", "part", "size"]
+    key = ["doc_id", "text_no", "level", "part", "last", "size"]
     shared = found.join(F.broadcast(bigrams), "bigram").where(may).groupBy(*key, "template", "template_size", "bigram", "template_count").agg(F.count("*").alias("n"))
     dice = shared.groupBy(*key, "template", "template_size").agg((2 * F.sum(F.least("n", "template_count")) / (F.col("size") + F.col("template_size"))).alias("dice")).where(F.col("dice") >= threshold)
     best = dice.groupBy(*key).agg(F.max(F.struct("dice", (-F.col("template")).alias("back"))).alias("b")).select("doc_id", "text_no", "level", "part", F.col("b.dice").alias("dice"), (-F.col("b.back")).alias("template"))

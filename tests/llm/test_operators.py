@@ -297,6 +297,25 @@ def test_license_matches_equal_brute_force(spark, odd, empty):
     assert licenses.license_matches(empty, templates).count() == 0
 
 
+def test_license_texts_with_blank_lines(spark):
+    def grams(x):
+        w = re.findall(r"[a-z0-9\x80-\U0010ffff]+", x.lower())
+        return Counter(zip(w, w[1:]))
+
+    mit = licenses.TEMPLATES[3][1]
+    for cut in (" The above copyright", " THE SOFTWARE IS"):
+        mit = mit.replace(cut, "\n\n" + cut.strip())
+    rows = [(80, mit), (81, f"Copyright (c) 2020 Ada\n\n{mit}\n\n{prose(50, 4)}"), (82, f"{prose(90, 5)}\n\n{mit}".replace("\n\n", "\r\n \r\n")), (83, mit.split("\n\n")[0] + "\n\n" + prose(200, 6)), (None, mit)]
+    got = {r.doc_id: (r.license, round(r.dice, 6), r.level) for r in licenses.license_matches(frame(spark, rows), licenses.templates_frame(spark)).collect()}
+    want = {}
+    for d, x in rows:
+        blocks, t = re.split(r"\n\s*\n", x), grams(licenses.TEMPLATES[3][1])
+        best = max(2 * (a & t).total() / (a.total() + t.total()) for i in range(len(blocks)) for j in range(i + 1, len(blocks) + 1) for a in [grams("\n".join(blocks[i:j]))])
+        if best >= 0.8:
+            want[d] = ("MIT", round(best, 6), "run")
+    assert got == want and set(want) == {80, 81, 82, None}
+
+
 def test_vector_links_match_brute_force(spark):
     rng = np.random.default_rng(3)
     near = rng.standard_normal(16)
