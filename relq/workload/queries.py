@@ -12,7 +12,7 @@ from ..measures import report
 from ..operators.relational import query
 from ..schema import RelGraph, node_id
 from ..search import masks
-from ..search.batch import batch_search, rebuild
+from ..search.batch import batch_search, partial_rows, rebuild
 from ..search.driver import relationship_search
 from ..text.index import build_index, document_frequency
 from ..text.lookup import expand_submasks, find_seeds
@@ -270,14 +270,14 @@ def rel_m2_roots(s, d):
     """Best weight at every node as root."""
     g, seeds = _contact(s, d, 2)
     _, state, _ = batch_search(g, seeds.withColumn("query_id", F.lit(0)).select("query_id", "node_id", "mask"), {0: 2}, bounded=False)
-    return state.where("mask = 3").join(_named(g), "node_id").select("name", F.col("length").alias("weight"))
+    return partial_rows(state).where("mask = 3").join(_named(g), "node_id").select("name", F.col("length").alias("weight"))
 
 
 @query(f"{_sql_distances(2, 2)} SELECT node AS name, (q + 1)::INT AS mask, w AS length FROM d2 UNION ALL SELECT x.node, 3, x.w + y.w FROM d2 x JOIN d2 y ON x.node = y.node AND x.q = 0 AND y.q = 1")
 def state_subset_lengths(s, d):
     g, seeds = _contact(s, d, 2)
     _, state, _ = batch_search(g, seeds.withColumn("query_id", F.lit(0)).select("query_id", "node_id", "mask"), {0: 2}, max_supersteps=2, bounded=False)
-    return state.join(_named(g), "node_id").select("name", "mask", "length")
+    return partial_rows(state).join(_named(g), "node_id").select("name", "mask", "length")
 
 
 @query(f"{_sql_distances(2, 2)} SELECT q::INT + 1 AS mask, min(w) AS s FROM d2 WHERE node NOT IN (SELECT node FROM d1) GROUP BY q")
@@ -401,7 +401,7 @@ def batch_trees(s, d):
     """Edges of the best trees of four workload queries, found in one loop."""
     g, seeds, queries = content_batch(s, d, [0, 10, 20, 30])
     answers, state, _ = batch_search(g, seeds, queries, max_supersteps=4)
-    return rebuild(answers, state)
+    return rebuild(g, answers, state)
 
 
 @query()

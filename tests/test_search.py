@@ -120,7 +120,7 @@ def test_batch_equals_exact_on_random_graphs(spark):
         assert got == {q: w for q, w in want.items() if not math.isinf(w)}
     lengths = {(min(a, b), max(a, b)): w for a, b, w in e.select("src", "dst", "length").collect()}
     weights = {}
-    for r in rebuild(answers, state).collect():
+    for r in rebuild(graph, answers, state).collect():
         weights[r.query_id] = weights.get(r.query_id, 0) + lengths[r.a, r.b]
     assert {q: weights.get(q, 0.0) for q in got} == got
     assert want == {q: exact.standalone_search(e, g)[0] for q, e, g in cases}
