@@ -11,9 +11,11 @@ from __future__ import annotations
 
 import gzip
 import hashlib
+import re
 import uuid
 import zlib
 from collections.abc import Iterator
+from urllib.parse import quote, unquote
 
 import pyarrow as pa
 import pyarrow.fs as pafs
@@ -29,28 +31,38 @@ INDEX = "page_id {kind}, archive string, offset long, length long, url string, p
 REVISIT_PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 
 
-def _record(page, url: str, payload: bytes, digest: str, refers_to, revisit: bool) -> bytes:
-    """One record; a revisit carries headers alone and the length of the payload it stands for."""
+def _record_id(page, url: str) -> str:
+    return f"<urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, f'{page} {url}')}>"
+
+
+def _store(folder: str) -> tuple[pafs.FileSystem, str]:
+    """Arrow's file system for a folder as Hadoop names it."""
+    return pafs.FileSystem.from_uri(re.sub("^s3[an]:", "s3:", folder))
+
+
+def _record(page, url: str, payload: bytes, digest: str, refers_to, refers_url: str | None) -> bytes:
+    """One record; a revisit carries headers alone and the length of the payload it stands for. Ids stand escaped, a null id not at all."""
+    revisit = refers_to is not None
     block = b"" if revisit else b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: %d\r\n\r\n" % len(payload) + payload
     head = [
         "WARC/1.1",
         f"WARC-Type: {'revisit' if revisit else 'response'}",
-        f"WARC-Record-ID: <urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, f'{page} {url}')}>",
+        f"WARC-Record-ID: {_record_id(page, url)}",
         f"WARC-Target-URI: {url}",
         "WARC-Date: 1970-01-01T00:00:00Z",
         f"WARC-Payload-Digest: sha256:{digest}",
-        f"X-Page-ID: {page}",
+        *([f"X-Page-ID: {quote(str(page), safe='')}"] if page is not None else []),
         f"X-Payload-Length: {len(payload)}",
         "Content-Type: application/http; msgtype=response",
         f"Content-Length: {len(block)}",
     ]
     if revisit:
-        head += [f"WARC-Profile: {REVISIT_PROFILE}", f"X-Refers-To-Page-ID: {refers_to}"]
+        head += [f"WARC-Profile: {REVISIT_PROFILE}", f"WARC-Refers-To: {_record_id(refers_to, refers_url)}", f"WARC-Refers-To-Target-URI: {refers_url}", f"X-Refers-To-Page-ID: {quote(str(refers_to), safe='')}"]
     return "\r\n".join(head).encode() + b"\r\n\r\n" + block + b"\r\n\r\n"
 
 
 def plan_records(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
-    """``page_id, url, payload, payload_digest, refers_to``: which page each one revisits, if any.
+    """``page_id, url, payload, payload_digest, refers_to, refers_url``: which page each one revisits, if any.
 
     Digests are counted before anything wide moves; only digests that occur
     more than once are joined back. Of repeated rows of the smallest page all
@@ -66,11 +78,15 @@ def plan_records(pages: DataFrame, id_col: str = "page_id", url_col: str = "url"
         html.alias("payload"),
         F.sha2(html, 256).alias("payload_digest"),
     )
-    narrow = rows.where(F.octet_length("payload") >= REVISIT_BYTES).select("page_id", "payload_digest")
-    shared = narrow.groupBy("payload_digest").agg(F.min("page_id").alias("first_id"), F.count("*").alias("n")).where("n > 1").drop("n")
     long_enough = F.octet_length("payload") >= REVISIT_BYTES
-    return rows.join(shared, "payload_digest", "left").select(
-        "page_id", "url", "payload", "payload_digest", F.when(long_enough & ~F.col("page_id").eqNullSafe(F.col("first_id")), F.col("first_id")).alias("refers_to")
+    # short payloads, of which thousands may be empty, look up no digest: each has a key of its own
+    rows = rows.withColumn("sought", F.when(long_enough, F.col("payload_digest")).otherwise(F.concat(F.lit("-"), F.coalesce(F.col("page_id").cast("string"), F.lit("")))))
+    narrow = rows.where(long_enough).select("page_id", "url", F.col("payload_digest").alias("sought"))
+    first = F.min(F.when(F.col("page_id").isNotNull(), F.struct("page_id", "url"))).alias("first")
+    shared = narrow.groupBy("sought").agg(first, F.count("*").alias("n")).where("n > 1").select("sought", F.col("first.page_id").alias("first_id"), F.col("first.url").alias("first_url"))
+    revisits = F.col("first_id").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("first_id"))
+    return rows.join(shared, "sought", "left").select(
+        "page_id", "url", "payload", "payload_digest", F.when(revisits, F.col("first_id")).alias("refers_to"), F.when(revisits, F.col("first_url")).alias("refers_url")
     )
 
 
@@ -79,19 +95,18 @@ def write_archives(records: DataFrame, folder: str) -> DataFrame:
     kind = records.schema["page_id"].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        store, base = pafs.FileSystem.from_uri(folder)
+        store, base = _store(folder)
         store.create_dir(base, recursive=True)
         name, at, out = f"{uuid.uuid4().hex}.warc.gz", 0, None
         try:
             for batch in batches:
                 rows = []
-                pages, urls, digests, refers = (batch.column(k).to_pylist() for k in (0, 1, 3, 4))
+                pages, urls, digests, refers, refers_urls = (batch.column(k).to_pylist() for k in (0, 1, 3, 4, 5))
                 for k, page in enumerate(pages):
                     out = out or store.open_output_stream(f"{base}/{name}", compression=None)
-                    revisit = refers[k] is not None
-                    member = gzip.compress(_record(page, urls[k], batch.column(2)[k].as_py(), digests[k], refers[k], revisit), 6, mtime=0)
+                    member = gzip.compress(_record(page, urls[k], batch.column(2)[k].as_py(), digests[k], refers[k], refers_urls[k]), 6, mtime=0)
                     out.write(member)
-                    rows.append((page, name, at, len(member), urls[k], digests[k], "revisit" if revisit else "response"))
+                    rows.append((page, name, at, len(member), urls[k], digests[k], "revisit" if refers[k] is not None else "response"))
                     at += len(member)
                 types = [batch.column(0).type, pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string()]
                 columns = zip(*rows, strict=True) if rows else [[]] * 7
@@ -141,7 +156,7 @@ def read_records(index: DataFrame, folder: str) -> DataFrame:
     schema = f"page_id {kind}, url string, payload binary, payload_bytes long, payload_digest string, record_type string, refers_to {kind}"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        store, base = pafs.FileSystem.from_uri(folder)
+        store, base = _store(folder)
         handle, opened = None, None
         for batch in batches:
             pages, names, offsets, lengths = (batch.column(k).to_pylist() for k in range(4))
@@ -160,9 +175,9 @@ def read_records(index: DataFrame, folder: str) -> DataFrame:
                         revisit, digest = r["WARC-Type"] == "revisit", r["WARC-Payload-Digest"].removeprefix("sha256:")
                         if not revisit and (hashlib.sha256(r["payload"]).hexdigest() != digest or len(r["payload"]) != int(r["X-Payload-Length"])):
                             raise ValueError(f"payload of page {pages[j]} differs from its digest")
-                        rows.append((r["X-Page-ID"], r["WARC-Target-URI"], None if revisit else r["payload"], int(r["X-Payload-Length"]), digest, r["WARC-Type"], r.get("X-Refers-To-Page-ID")))
+                        rows.append((r.get("X-Page-ID"), r["WARC-Target-URI"], None if revisit else r["payload"], int(r["X-Payload-Length"]), digest, r["WARC-Type"], r.get("X-Refers-To-Page-ID")))
                     columns = list(zip(*rows, strict=True))
-                    ids = [pa.array([None if x in (None, "None") else x for x in columns[c]], pa.string()).cast(batch.column(0).type) for c in (0, 6)]
+                    ids = [pa.array([x if x is None else unquote(x) for x in columns[c]], pa.string()).cast(batch.column(0).type) for c in (0, 6)]
                     middle = [pa.array(c, t) for c, t in zip(columns[1:6], (pa.string(), pa.binary(), pa.int64(), pa.string(), pa.string()), strict=True)]
                     yield pa.RecordBatch.from_arrays([ids[0], *middle, ids[1]], ["page_id", "url", "payload", "payload_bytes", "payload_digest", "record_type", "refers_to"])
                 k = stop_row
