@@ -42,8 +42,6 @@ TEMPLATES = (
     ("Unlicense", "This is free and unencumbered software released into the public domain."),
 )
 THRESHOLD = 0.8
-#: Mean length of the words of a block above which it resembles no licence.
-LONGEST_WORD = 24
 BLANK_LINE = r"\n\s*\n"
 
 
@@ -69,13 +67,12 @@ def segments(docs: DataFrame, longest: int, id_col: str, text_col: str) -> DataF
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
     rows = docs.select(F.col(id_col).alias("doc_id"), text.alias("body"), F.xxhash64(text).alias("text_no"))
     lines = rows.select("doc_id", "text_no", F.lit("line").alias("level"), F.posexplode(F.split("body", "[\r\n]+")).alias("part", "segment"))
-    # a text without a blank line is one block; what is far too long for any template is left before words are cut
-    paragraphs = F.when(F.contains("body", F.lit("\n\n")), F.split("body", "\n\n+")).otherwise(F.array("body"))
-    short = F.filter(paragraphs, lambda p: (F.length(p) <= LONGEST_WORD * (longest + 1)) & F.contains(p, F.lit("\n")))
-    blocks = rows.select("doc_id", "text_no", F.lit("block").alias("level"), F.posexplode(short).alias("part", "segment"))
-    both = lines.unionByName(blocks).where(F.length("segment") > 2)
-    both = both.withColumn("words", normal_words(F.col("segment"))).drop("segment")
-    return both.where((F.size("words") > 1) & (F.size("words") <= longest + 1))
+    # a text without a blank line is one block; blocks are judged by their words alone, however they are laid out
+    paragraphs = F.filter(F.when(F.contains("body", F.lit("\n\n")), F.split("body", "\n\n+")).otherwise(F.array("body")), lambda p: F.contains(p, F.lit("\n")))
+    short = F.filter(F.transform(paragraphs, normal_words), lambda w: (F.size(w) > 1) & (F.size(w) <= longest + 1))
+    blocks = rows.select("doc_id", "text_no", F.lit("block").alias("level"), F.posexplode(short).alias("part", "words"))
+    lines = lines.where(F.length("segment") > 2).withColumn("words", normal_words(F.col("segment"))).drop("segment")
+    return lines.where((F.size("words") > 1) & (F.size("words") <= longest + 1)).unionByName(blocks)
 
 
 def block_runs(docs: DataFrame, bigrams: DataFrame, threshold: float, id_col: str, text_col: str) -> DataFrame:
