@@ -18,8 +18,8 @@ from pyspark.sql import functions as F
 from .labels import residue
 from .workers import tidy
 
-#: Documented bounds: rows of each language to learn from, languages, landmarks, and buckets of n-grams.
-PER_LANGUAGE, LANGUAGES, LANDMARKS, BUCKETS = 1_200, 400, 192, 8_192
+#: Documented bounds: rows of each language to learn from, rows of all languages, landmarks, and buckets of n-grams.
+PER_LANGUAGE, ROWS, LANDMARKS, BUCKETS = 1_200, 60_000, 192, 8_192
 RIDGE, SHARPNESS, UNDETERMINED = 1e-3, 4.0, "und"
 _SPACES = bytes(c if c >= 128 or chr(c).isalpha() else 32 for c in range(256)).lower()
 
@@ -66,21 +66,21 @@ class LanguageModel:
         return names, np.concatenate(scores) if scores else np.zeros(0)
 
 
-def fit(vectors: np.ndarray, names: list[str]) -> LanguageModel:
-    """Nyström features of the landmarks and a ridge fit of +1 against -1 for each language."""
+def fit(packed: np.ndarray, names: list[str]) -> LanguageModel:
+    """Nyström features of the landmarks and a ridge fit of +1 against -1 for each language; ``packed`` are the bits of presence vectors."""
     languages = sorted(set(names))
     y = np.array([languages.index(x) for x in names])
     ranks = np.zeros(len(y), int)
     for c in range(len(languages)):
         ranks[y == c] = np.arange((y == c).sum())
-    landmarks = vectors[np.argsort(ranks, kind="stable")[: max(LANDMARKS, len(languages))]]
+    landmarks = np.unpackbits(packed[np.argsort(ranks, kind="stable")[: max(LANDMARKS, len(languages))]], axis=1)
     values, axes = np.linalg.eigh(kernel(landmarks, landmarks).astype(float))
     keep = values > 1e-6 * values.max()
     root = axes[:, keep] / np.sqrt(values[keep])
     gram, target = np.zeros((keep.sum(), keep.sum())), np.zeros((keep.sum(), len(languages)))
     share = np.bincount(y, minlength=len(languages))
     for k in range(0, len(y), 256):
-        phi = kernel(vectors[k : k + 256], landmarks).astype(float) @ root
+        phi = kernel(np.unpackbits(packed[k : k + 256], axis=1), landmarks).astype(float) @ root
         weight = (1 / share[y[k : k + 256]])[:, None]
         gram += phi.T @ (weight * phi)
         target += phi.T @ (weight * (2.0 * (y[k : k + 256, None] == np.arange(len(languages))) - 1))
@@ -88,22 +88,25 @@ def fit(vectors: np.ndarray, names: list[str]) -> LanguageModel:
 
 
 def train(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", per_language: int = PER_LANGUAGE, held_out: tuple[int, int] = (3, 1)) -> LanguageModel:
-    """Learns from at most ``per_language`` texts of each language, those whose ids hash lowest.
+    """Learns from at most ``per_language`` texts of each language, those whose ids hash lowest; of fewer where
+    there are so many languages that all together would pass 60,000 texts, but of one at least. Every language is learned.
 
     Held-out ids (crc32 modulo held_out), null languages, null texts and null
     ids are left out. Only packed presence vectors, 1 KB a text, reach the driver.
     """
     rows = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.col(lang_col).cast("string").alias("lang"))
     known = rows.where("lang is not null and text is not null and doc_id is not null").where(residue(F.col("doc_id"), held_out[0]) != held_out[1])
-    languages = sorted(r["lang"] for r in known.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(LANGUAGES).collect())
+    counts = {r["lang"]: r["n"] for r in known.groupBy("lang").agg(F.count("*").alias("n")).collect()}  # a row a language
+    languages = sorted(counts)
     if not languages:
         return LanguageModel(np.zeros((0, BUCKETS), np.uint8), np.zeros((0, 0)), [])
     mark = F.xxhash64("doc_id")
-    counts = {r["lang"]: r["n"] for r in known.groupBy("lang").agg(F.count("*").alias("n")).collect() if r["lang"] in languages}
+    per_language = max(1, min(per_language, ROWS // len(languages)))
     # a cut on the hash leaves about twice the bound of each language; the exact bound follows on few rows
     span = 1 << 64
-    cuts = F.create_map(*[x for name in languages for x in (F.lit(name), F.lit(max(-(1 << 63), min((1 << 63) - 1, int(-(1 << 63) + span * min(1.0, (2 * per_language + 200) / counts[name])))))) ])
-    few = known.where(mark <= cuts[F.col("lang")])
+    rows = [(name, max(-(1 << 63), min((1 << 63) - 1, int(-(1 << 63) + span * min(1.0, (2 * per_language + 200) / n))))) for name, n in counts.items()]
+    cuts = F.broadcast(docs.sparkSession.createDataFrame(rows, "lang string, cut long"))
+    few = known.join(cuts, "lang").where(mark <= F.col("cut"))
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -112,8 +115,7 @@ def train(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_
 
     found = few.select(mark.alias("mark"), "lang", "text").mapInArrow(tidy(pack), "mark long, lang string, bits binary").toPandas()
     found = found.sort_values(["mark", "lang", "bits"]).groupby("lang").head(per_language)
-    vectors = np.stack([np.unpackbits(np.frombuffer(b, np.uint8)) for b in found["bits"]])
-    return fit(vectors, found["lang"].tolist())
+    return fit(np.stack([np.frombuffer(b, np.uint8) for b in found["bits"]]), found["lang"].tolist())
 
 
 def identify(docs: DataFrame, model: LanguageModel, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
