@@ -31,8 +31,8 @@ TARGETS = frozenset("you your you're he him she her they them this these those d
 THREATS = frozenset("kill hurt murder stab shoot burn beat destroy strangle töten umbringen tuer frapper matar golpear".split())
 INSULTS = frozenset("idiot moron scum trash loser stupid pathetic worthless disgusting clown".split())
 
-#: Bounds of learning: documents of each class, entries kept, least documents and evidence of an entry.
-SAMPLE, ENTRIES, LEAST_DOCS, LEAST_ODDS, LEAST_GAIN = 6_000, 6_000, 3, 1.6, 14.0
+#: Bounds of learning: documents of each class, least documents and evidence of an entry.
+SAMPLE, LEAST_DOCS, LEAST_ODDS, LEAST_GAIN = 6_000, 3, 1.6, 14.0
 BEGINNINGS = (4, 5)
 PRIOR_WEIGHT = 2.0
 CLAUSE_END = re.compile(r"[.!?;:,\n]+")
@@ -187,7 +187,7 @@ def learn_entries(texts: DataFrame) -> tuple[dict[str, float], dict[int, dict[st
     likely = counts.where(F.col("n01") + F.col("n11") >= LEAST_DOCS)
     share = (sizes.get((0, 1), 0) + sizes.get((1, 1), 0)) / max(1, sum(sizes.values()))
     likely = likely.where((F.col("n01") + F.col("n11")) > 2 * share * (F.col("n00") + F.col("n01") + F.col("n10") + F.col("n11")))
-    found = likely.orderBy((F.col("n00") + F.col("n10") - F.col("n01") - F.col("n11")), "entry").limit(4 * ENTRIES).collect()
+    found = likely.orderBy("entry").collect()  # words of the bounded sample that several of its toxic documents have
 
     def fitted(halves: tuple[int, ...]) -> dict[str, float]:
         pos, neg = (sum(sizes.get((h, y), 0) for h in halves) for y in (1, 0))
@@ -200,7 +200,7 @@ def learn_entries(texts: DataFrame) -> tuple[dict[str, float], dict[int, dict[st
                 gain = 2 * (p * math.log(p / (pos * rate)) + (n * math.log(n / (neg * rate)) if n else 0))
                 if gain >= LEAST_GAIN:
                     kept.append((odds, r["entry"]))
-        return {e: round(o, 6) for o, e in sorted(kept, key=lambda x: (-x[0], x[1]))[:ENTRIES]}
+        return {e: round(o, 6) for o, e in sorted(kept, key=lambda x: (-x[0], x[1]))}
 
     return fitted((0, 1)), {0: fitted((1,)), 1: fitted((0,))}
 
@@ -289,7 +289,11 @@ def score_documents(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id
 
 
 def keep_clean(docs: DataFrame, model: ToxicityModel, threshold: float = 0.7, text_col: str = "text") -> DataFrame:
-    """The rows whose score is under ``threshold``, with all their columns."""
+    """The rows whose score is under ``threshold``, with all their columns, whatever their names.
+
+    Null and blank texts have the base score, which is low; repeated rows are
+    judged one by one and so stay or go together; an empty table stays empty.
+    """
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
