@@ -22,6 +22,8 @@ from .workers import tidy
 from .workspace import Workspace
 
 PASSES, BITS, BLOCK, WINDOW, SEED = 8, 62, 1_024, 512, 20_241
+#: Members of a component in one part of its count, and vectors of small components in one task's group.
+PART, GROUP = 256, 1_024
 
 
 def _unit(vectors: np.ndarray) -> np.ndarray:
@@ -96,28 +98,29 @@ def window_links(classes: DataFrame, threshold: float, work: Workspace, passes:
 def link_counts(members: DataFrame, threshold: float) -> DataFrame:
     """``(rid, others)``: for every member of ``(root, rid, copies, vector)``, the vectors of other classes linked to it.
 
-    A component of n members is cut into about n / BLOCK parts and every pair
-    of parts is one task's work; small components share tasks.
+    A component of n members is cut into about n / PART parts and every pair
+    of parts is one group's work; small components share groups, of which there
+    are as many as the members need.
     """
-    sizes = members.groupBy("root").agg(F.ceil(F.count("*") / F.lit(BLOCK)).cast("int").alias("parts"), F.count("*").alias("n"))
+    slots = max(64, members.count() // GROUP)
+    sizes = members.groupBy("root").agg(F.ceil(F.count("*") / F.lit(PART)).cast("int").alias("parts"))
     rows = members.join(sizes, "root").withColumn("mine", F.pmod(F.xxhash64("rid"), F.col("parts")).cast("int"))
-    others = F.sequence(F.lit(0), F.col("parts") - 1)
-    # each member asks in the tasks (mine, j) and answers in the tasks (i, mine)
-    asks = F.transform(others, lambda k: F.struct(F.col("mine").alias("i"), k.alias("j"), F.lit(True).alias("ask")))
-    answers = F.transform(others, lambda k: F.struct(k.alias("i"), F.col("mine").alias("j"), F.lit(False).alias("ask")))
-    spread = rows.withColumn("t", F.explode(F.concat(asks, answers)))
-    tasks = spread.select("root", "rid", "copies", "vector", "t.*", F.when(F.col("parts") > 1, F.xxhash64("root", "t.i", "t.j")).otherwise(F.pmod(F.xxhash64("root"), F.lit(4_096))).alias("slot"))
+    spread = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    tasks = spread.select("root", "rid", "copies", "vector", "mine", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), "parts")
+    tasks = tasks.withColumn("slot", F.when(F.col("parts") > 1, F.xxhash64("root", "i", "j")).otherwise(F.pmod(F.xxhash64("root"), F.lit(slots)))).drop("parts")
 
     def count(rows: pd.DataFrame) -> pd.DataFrame:
         out = []
-        for _, g in rows.groupby(["root", "i", "j"], sort=False):
-            asking, answering = g[g["ask"]], g[~g["ask"]]
-            if not len(asking) or not len(answering):
-                continue
-            left, right = _unit(np.stack(asking["vector"].to_numpy())), _unit(np.stack(answering["vector"].to_numpy()))
-            ids = asking["rid"].to_numpy(np.int64)
-            near = (left @ right.T >= threshold) & (ids[:, None] != answering["rid"].to_numpy(np.int64)[None])
-            out.append(pd.DataFrame({"rid": ids, "others": near @ answering["copies"].to_numpy(np.int64)}))
+        for (_, i, j), g in rows.groupby(["root", "i", "j"], sort=False):
+            low = g["mine"].to_numpy() == i
+            unit, ids, copies = _unit(np.stack(g["vector"].to_numpy())), g["rid"].to_numpy(np.int64), g["copies"].to_numpy(np.int64)
+            if i == j:
+                near = unit @ unit.T >= threshold
+                np.fill_diagonal(near, False)
+                out.append(pd.DataFrame({"rid": ids, "others": near @ copies}))
+            elif low.any() and not low.all():
+                near = unit[low] @ unit[~low].T >= threshold
+                out += [pd.DataFrame({"rid": ids[low], "others": near @ copies[~low]}), pd.DataFrame({"rid": ids[~low], "others": near.T @ copies[low]})]
         return pd.concat(out) if out else pd.DataFrame({"rid": [], "others": []}, dtype="int64")
 
     return tasks.groupBy("slot").applyInPandas(count, "rid long, others long").groupBy("rid").agg(F.sum("others").alias("others"))
@@ -139,7 +142,7 @@ def near_duplicate_vectors(vectors: DataFrame, threshold: float = 0.98, id_col:
     grouped = rows.where("valid").groupBy("label", "vector").agg(F.min("vec_id").alias("first_id"), F.count("*").alias("copies"))
     classes = work.save(grouped.withColumn("rid", F.monotonically_increasing_id()), "classes")
     roots = work.save(connected_components(work.save(window_links(classes, threshold, work, passes), "links"), work), "roots")
-    members = classes.join(roots.withColumnRenamed("node", "rid"), "rid").select("root", "rid", "copies", "vector", "first_id")
+    members = work.save(classes.join(roots.withColumnRenamed("node", "rid"), "rid").select("root", "rid", "copies", "vector", "first_id"), "members")
     least = members.groupBy("root").agg(F.min("first_id").alias("least"))
     linked = work.save(
         roots.withColumnRenamed("node", "rid").join(link_counts(members, threshold), "rid", "left").join(least, "root").select("rid", "others", "least"), "linked"
