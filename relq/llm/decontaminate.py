@@ -11,9 +11,13 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Fixed masks; all begin with two selected words. The last serves items too short for the others.
+#: Fixed masks for items of 13 words or more; all begin with two selected words.
 MASKS = ("111011001", "110101101", "110011011")
-SHORT_MASK = "11111"
+#: Masks of shorter items, with the least and most words of the items they serve. A leak of such an item holds so many
+#: equal words in a row: at most one word is replaced, and of 5 to 12 words at least 4 on one side of it are equal.
+SHORT_MASKS = (("1111", 5, 12), ("111", 3, 4), ("11", 2, 2), ("1", 1, 1))
+ALL_MASKS = (*MASKS, *(m for m, *_ in SHORT_MASKS))
+SPAN = max(map(len, ALL_MASKS))
 #: A stretch scores 1 for an equal word and -2 for a replaced one.
 MISMATCH, FULL_SCORE, SHARE = 2, 13, 0.7
 #: Seeds of the benchmark that may be broadcast; more are joined by a shuffle.
@@ -32,12 +36,17 @@ def seed(words: Column, at: Column, mask: str) -> Column:
     return F.when(at + len(mask) <= F.size(words), F.xxhash64(F.lit(mask), *picks))
 
 
-def benchmark_seeds(items: DataFrame) -> DataFrame:
-    """``(mask, hash, pair, item_no, at)`` of ``items(item_no, words)``."""
+def _lead(words: Column, at: Column, both: bool) -> Column:
+    """Hash of the word at ``at`` and, if ``both``, of the next one: what every seed there begins with."""
+    return F.xxhash64(F.get(words, at), F.get(words, at + 1)) if both else F.get(words, at)
+
+
+def benchmark_seeds(items: DataFrame, both: bool) -> DataFrame:
+    """``(mask, hash, pair, item_no, at)`` of ``items(item_no, words)``; each item has the masks of its length."""
     at = items.select("item_no", "words", F.explode(F.sequence(F.lit(0), F.size("words") - 1)).alias("at"))
-    long_item = F.size("words") >= len(MASKS[0])
-    seeds = [F.struct(F.lit(k).alias("mask"), F.when(long_item if k < len(MASKS) else ~long_item, seed(F.col("words"), F.col("at"), m)).alias("hash")) for k, m in enumerate((*MASKS, SHORT_MASK))]
-    pair = F.xxhash64(F.get("words", F.col("at")), F.get("words", F.col("at") + 1))
+    served = [F.size("words") > SHORT_MASKS[0][2]] * len(MASKS) + [F.size("words").between(low, high) for _, low, high in SHORT_MASKS]
+    seeds = [F.struct(F.lit(k).alias("mask"), F.when(ok, seed(F.col("words"), F.col("at"), m)).alias("hash")) for k, (m, ok) in enumerate(zip(ALL_MASKS, served, strict=True))]
+    pair = _lead(F.col("words"), F.col("at"), both)
     return at.select("item_no", "at", pair.alias("pair"), F.explode(F.array(*seeds)).alias("s")).select("s.mask", "s.hash", "pair", "item_no", "at").where("hash is not null")
 
 
@@ -62,28 +71,44 @@ def benchmark_overlaps(docs: DataFrame, items: DataFrame, id_col: str = "doc_id"
     """``doc_id, item_id, start_word, equal_words, item_words, score``: the best stretch of each pair that leaks.
 
     A pair leaks if its best stretch scores 13, or 0.7 of the item's words if
-    that is less. Items of under five words identify nothing and match nothing;
-    null and blank texts have no words. Repeated documents give one row an id
-    and item; null ids are returned as null. Empty tables give no rows. Other
-    columns are not looked at. The benchmark is broadcast if it has at most
-    2,000,000 seeds, and joined by a shuffle otherwise.
+    that is less; an item of one or two words leaks wherever it stands. Items
+    without words match nothing; null and blank texts have none. Repeated
+    documents give one row an id and item; null ids are returned as null.
+    Empty tables give no rows. Other columns are not looked at. The benchmark
+    is broadcast if it has at most 2,000,000 seeds, and joined by a shuffle
+    otherwise, of one window of words a position; the texts of what was hit are
+    then joined back.
     """
     bench = (
         items.select(F.col(item_col).alias("item_id"), word_hashes(F.col(item_text_col)).alias("words"))
-        .where(F.size("words") >= len(SHORT_MASK)).distinct()
+        .where(F.size("words") > 0).distinct()
         .select("item_id", "words", F.xxhash64("item_id", "words").alias("item_no"))
     )
-    seeds = benchmark_seeds(bench)
-    facts = seeds.agg(F.count("*"), F.max("mask")).first()
-    small, masks = facts[0] <= BROADCAST_SEEDS, (*MASKS, SHORT_MASK)[: len(MASKS) + (facts[1] == len(MASKS))]
+    shortest = bench.agg(F.min(F.size("words"))).first()[0] or 2
+    seeds = benchmark_seeds(bench, shortest > 1)
+    facts = seeds.agg(F.count("*"), F.collect_set("mask")).first()
+    small, masks = facts[0] <= BROADCAST_SEEDS, [(k, ALL_MASKS[k]) for k in sorted(facts[1])]
     near = F.broadcast if small else lambda x: x
     sized = seeds.join(bench.select("item_no", F.size("words").alias("item_words")), "item_no").select("mask", "hash", "item_no", F.col("at").alias("item_at"), "item_words")
 
-    hashed = docs.select(F.col(id_col).alias("doc_id"), word_hashes(F.col(text_col)).alias("words"))
-    spots = hashed.where(F.size("words") >= len(SHORT_MASK)).select("doc_id", "words", F.posexplode("words").alias("at", "word"))
-    paired = spots.withColumn("pair", F.xxhash64("word", F.get("words", F.col("at") + 1))).join(near(seeds.select("pair").distinct()), "pair", "left_semi")
-    seeded = paired.select("doc_id", "words", "at", F.explode(F.array(*[F.struct(F.lit(k).alias("mask"), seed(F.col("words"), F.col("at"), m).alias("hash")) for k, m in enumerate(masks)])).alias("s"))
-    hits = seeded.select("doc_id", "words", "at", "s.mask", "s.hash").where("hash is not null").join(near(sized), ["mask", "hash"])
+    hashed = docs.select(F.col(id_col).alias("doc_id"), word_hashes(F.col(text_col)).alias("words")).where(F.size("words") >= shortest)
+    leads = near(seeds.select("pair").distinct())
+    if small:
+        spots = hashed.select("doc_id", "words", F.posexplode("words").alias("at", "word"))
+        paired = spots.withColumn("pair", _lead(F.col("words"), F.col("at"), shortest > 1)).join(leads, "pair", "left_semi")
+        keys = [F.struct(F.lit(k).alias("mask"), seed(F.col("words"), F.col("at"), m).alias("hash")) for k, m in masks]
+        seeded = paired.select("doc_id", "words", "at", F.explode(F.array(*keys)).alias("s"))
+        hits = seeded.select("doc_id", "words", "at", "s.mask", "s.hash").where("hash is not null").join(near(sized), ["mask", "hash"])
+    else:
+        hashed = hashed.withColumn("text_no", F.xxhash64("words"))
+        spots = hashed.select("doc_id", "text_no", "words", F.explode(F.sequence(F.lit(0), F.size("words") - 1)).alias("at"))
+        windows = spots.select("doc_id", "text_no", "at", F.slice("words", F.col("at") + 1, SPAN).alias("window"))
+        paired = windows.withColumn("pair", _lead(F.col("window"), F.lit(0), shortest > 1)).join(leads, "pair", "left_semi")
+        keys = [F.struct(F.lit(k).alias("mask"), seed(F.col("window"), F.lit(0), m).alias("hash")) for k, m in masks]
+        seeded = paired.select("doc_id", "text_no", "at", F.explode(F.array(*keys)).alias("s")).select("doc_id", "text_no", "at", "s.mask", "s.hash").where("hash is not null")
+        met = seeded.join(sized, ["mask", "hash"]).select("doc_id", "text_no", "item_no", "item_words", (F.col("at") - F.col("item_at")).alias("shift")).distinct()
+        texts = hashed.select(F.col("doc_id").alias("i"), F.col("text_no").alias("t"), "words").dropDuplicates(["i", "t"])
+        hits = met.join(texts, (F.col("text_no") == F.col("t")) & F.col("doc_id").eqNullSafe(F.col("i"))).select("doc_id", "words", "item_no", "item_words", F.col("shift").alias("at"), F.lit(0).alias("item_at"))
     start = F.col("at") - F.col("item_at")
     inside = F.slice("words", F.greatest(start, F.lit(0)) + 1, F.col("item_words") + F.least(start, F.lit(0)))
     laid = hits.select("doc_id", "item_no", "item_words", start.alias("start_word"), inside.alias("inside"))
