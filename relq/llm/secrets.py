@@ -10,6 +10,7 @@ ratios.
 from __future__ import annotations
 
 import math
+import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -151,11 +152,12 @@ def _listed(spans: Column) -> Column:
 
 def redact(docs: DataFrame, ratios: list[float], text_col: str = "text", length_col: str | None = "n_chars", mark: str = "[SECRET]") -> DataFrame:
     """``docs`` with every span replaced by ``mark``; assigned values keep their names. Null texts stay null."""
-    names = docs.columns
-    body = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    marked = docs.withColumns({"__judged": span_columns(body, ratios)[1].alias("j"), "__base": span_columns(body, ratios)[0]})
-    added = F.filter("__judged", lambda s: ~F.exists("__base", lambda b: (b["start"] < s["stop"]) & (s["start"] < b["stop"])))
-    cut = F.transform(F.array_sort(F.concat("__base", added)), lambda s: F.struct((s["stop"] - F.length(s["value"])).alias("start"), s["stop"].alias("stop")))
+    names, own = docs.columns, uuid.uuid4().hex  # columns of ours that clash with none
+    body, judged, base = F.coalesce(F.col(text_col).cast("string"), F.lit("")), f"judged_{own}", f"base_{own}"
+    spans = span_columns(body, ratios)
+    marked = docs.withColumns({judged: spans[1], base: spans[0]})
+    added = F.filter(judged, lambda s: ~F.exists(base, lambda b: (b["start"] < s["stop"]) & (s["start"] < b["stop"])))
+    cut = F.transform(F.array_sort(F.concat(F.col(base), added)), lambda s: F.struct((s["stop"] - F.length(s["value"])).alias("start"), s["stop"].alias("stop")))
     start = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
 
     def step(acc: Column, s: Column) -> Column:
@@ -169,7 +171,7 @@ def redact(docs: DataFrame, ratios: list[float], text_col: str = "text", length_
     text = F.when(F.size(cut) > 0, clean).otherwise(F.col(text_col))
     out = marked.withColumn(text_col, text)
     if length_col in names:
-        out = out.withColumn(length_col, F.when(F.size("__base") + F.size("__judged") > 0, F.length(text_col)).otherwise(F.col(length_col)).cast(docs.schema[length_col].dataType))
+        out = out.withColumn(length_col, F.when(F.size(base) + F.size(judged) > 0, F.length(text_col)).otherwise(F.col(length_col)).cast(docs.schema[length_col].dataType))
     return out.select(*[F.col(f"`{n}`") for n in names])
 
 

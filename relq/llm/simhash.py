@@ -11,6 +11,7 @@ from __future__ import annotations
 
 import functools
 import math
+import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -410,12 +411,14 @@ def keep_one_of_each(docs: DataFrame, text_col: str = "text", id_col: str = "doc
     them). Null and blank texts are one group. Empty tables stay empty.
     """
     groups, _ = near_duplicate_texts(docs, text_col, id_col, **options)
-    best = groups.groupBy("root").agg(F.min(F.struct(F.col("first_id").isNull().alias("nameless"), "first_id", "mark")).alias("k")).select(F.col("k.mark").alias("__mark"), F.col("k.first_id").alias("__id"))
+    own = uuid.uuid4().hex  # columns of ours that clash with none
+    row_mark, mark, first = (f"{x}_{own}" for x in ("row_mark", "mark", "first"))
+    best = groups.groupBy("root").agg(F.min(F.struct(F.col("first_id").isNull().alias("nameless"), "first_id", "mark")).alias("k")).select(F.col("k.mark").alias(mark), F.col("k.first_id").alias(first))
     names = docs.columns
     body = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    rows = docs.withColumn("__row_mark", F.md5(body.cast("binary")))
-    kept = rows.join(best, (F.col("__row_mark") == F.col("__mark")) & F.col(id_col).eqNullSafe(F.col("__id")), "left_semi")
-    repeated = rows.select(F.col(id_col).alias("i"), "__row_mark").groupBy("i", "__row_mark").count().where("count > 1").limit(1).count()
+    rows = docs.withColumn(row_mark, F.md5(body.cast("binary")))
+    kept = rows.join(best, (F.col(row_mark) == F.col(mark)) & F.col(id_col).eqNullSafe(F.col(first)), "left_semi")
+    repeated = rows.select(F.col(id_col).alias("i"), row_mark).groupBy("i", row_mark).count().where("count > 1").limit(1).count()
     if repeated:
-        kept = kept.dropDuplicates([id_col, "__row_mark"])
+        kept = kept.dropDuplicates([id_col, row_mark])
     return kept.select(*[F.col(f"`{n}`") for n in names])
