@@ -267,9 +267,9 @@ def test_benchmark_overlaps(spark, odd, empty):
     rows = [(60, f"{prose(30, 1)} {items[0][1]} {prose(30, 2)}"), (61, " ".join(swapped).upper()), (62, prose(50, 9) + " " + " ".join(items[0][1].split()[8:24])), (63, "Six words, are in THIS item!"), (64, " ".join(items[0][1].split()[:8])), (65, items[1][1]), (66, "too short")]
     bench = spark.createDataFrame(items, "item_id long, text string")
     got = {(r.doc_id, r.item_id) for r in decontaminate.benchmark_overlaps(frame(spark, [*ODD, *rows]), bench).collect()}
-    assert got == {(d, i) for d in (60, 61, 62) for i in (1, 6)} | {(63, 3), (65, 2)}
+    assert got == {(d, i) for d in (60, 61, 62) for i in (1, 6)} | {(63, 3), (65, 2), (66, 4)}
     kept = decontaminate.drop_contaminated(frame(spark, rows), bench)
-    assert sorted(r.doc_id for r in kept.collect()) == [64, 66] and kept.columns == odd.columns
+    assert sorted(r.doc_id for r in kept.collect()) == [64] and kept.columns == odd.columns
     assert decontaminate.benchmark_overlaps(empty, bench).count() == 0 and decontaminate.benchmark_overlaps(odd, bench.limit(0)).count() == 0
 
 
