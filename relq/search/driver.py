@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import functools
 import math
 import time
 from dataclasses import dataclass, field
@@ -9,12 +10,12 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..plans.workspace import Workspace
+from ..plans.workspace import Workspace, buckets_of
 from ..schema import RelGraph
 from . import masks, trees
 
 TRACE = (
-    "round int, phase string, active long, frontier long, bfs_msgs long, deep_msgs long, reached long, state_rows long, combinations long, "
+    "round int, phase string, active long, frontier long, bfs_msgs long, deep_msgs long, reached long, state_rows long, combinations long, tree_edges long, "
     "s map<int,double>, l map<int,double>, w_k double, candidates long, traversed long, decision string, ms long"
 )
 ANSWER = "rank int, root long, weight double, n_edges int, members array<long>, edges array<struct<a:bigint,b:bigint,len:double>>, parts array<struct<mask:int,length:double>>, sig long"
@@ -60,29 +61,36 @@ def relationship_search(
     ``deep=False`` sends to unreached nodes only, ``drain=False`` halts at the
     stop test, ``prune=False`` keeps every partial tree (tiny graphs).
     ``max_messages`` cuts the run before a round that would send more.
-    Status: optimal, exhausted, truncated_messages, truncated_rounds,
-    no_answer or unknown_keyword.
+    ``profile`` sends the two classes of messages one after the other, so each
+    has a time of its own; ``measures`` also counts candidates, state rows and
+    the combinations that merges look at.
+    Status: optimal (stop test or bound, and drained), optimal_unproven (the
+    stop test alone, without its drain), exhausted, truncated_messages,
+    truncated_rounds, no_answer or unknown_keyword.
+
+    A round writes its messages and its state, both in buckets of the node, so
+    neither is exchanged again; what the driver needs comes in one job.
     """
     spark, full, work = graph.edges.sparkSession, (1 << m) - 1, Workspace(graph.edges.sparkSession, "search")
     keep = k + slack if prune else 1 << 30
     scope = "active" if stop == "certified" else scope
     covered = seeds.agg(F.bit_or("mask")).first()[0] or 0
-    edges = graph.edges
     e_min = graph.e_min()
     timers = dict.fromkeys(("send_bfs", "receive", "send_deep", "send_aggregator", "evaluate"), 0.0)
     out = SearchResult(None, None, "unknown_keyword", None, None, None, None, None, timers)
     if covered & full != full:
         return _finish(spark, graph, out, [], [], m, None, measures)
+    edges = work.save(graph.edges.select("src", "dst", "length").repartition(buckets_of(spark), "src"), "edges", ["src"])
 
     def timed(name: str, df: DataFrame, table: str) -> DataFrame:
         t = time.time()
-        saved = work.save(df, table)
+        saved = work.save(df, table, ["node_id"])
         timers[name] += time.time() - t
         return saved
 
-    state = work.save(trees.seed_rows(seeds), "state0")
-    delta, reached = state, work.save(seeds.select("node_id"), "reached0")
-    degrees = edges.groupBy("src").agg(F.count("*").alias("degree"))
+    state = work.save(trees.seed_rows(seeds).withColumn("born", F.lit(0)), "state0", ["node_id"])
+    visits = [work.save(seeds.select("node_id", "mask"), "visits0")]
+    n_reached = visits[0].count()
     best: list[dict] = _fold([], [r.asDict(True) for r in trees.minimal_answers(state, full).dropDuplicates(["sig"]).orderBy("length", "sig").limit(k).collect()], k)
     trace: list[dict] = []
     phase, status, smallest, number = "RUN", "exhausted", {}, 0
@@ -93,63 +101,78 @@ def relationship_search(
             break
         began = time.time()
         w_k = best[-1]["length"] if len(best) == k else math.inf
-        growable = delta.where(F.col("mask") != full)
+        growable = state.where((F.col("born") == number - 1) & (F.col("mask") != full)).drop("born")
         if not math.isinf(w_k):
             growable = growable.where(F.col("length") <= w_k)
             if half_cut:
                 growable = growable.where(2 * F.col("length") <= w_k)
         if max_messages is not None:
-            predicted = growable.select("node_id").distinct().join(degrees, F.col("node_id") == F.col("src")).agg(F.sum("degree")).first()[0] or 0
+            predicted = growable.select("node_id").distinct().join(edges, F.col("node_id") == F.col("src")).count()
             if predicted > max_messages:
                 status = "truncated_messages"
                 break
-        grown = trees.grow(growable, edges, seeds)
-        tagged = grown.join(reached.withColumn("known", F.lit(True)), "node_id", "left").withColumn("known", F.coalesce("known", F.lit(False)))
+        reached = functools.reduce(DataFrame.unionByName, visits)
+        tagged = trees.grow(growable, edges, reached)
         if phase == "DRAIN":
             tagged = tagged.where("known")
         elif not deep:
             tagged = tagged.where("not known")
-        msgs = timed("send_bfs", tagged, f"msgs{number}")
         if profile:
-            t = time.time()
-            msgs.where("known").select("src", "node_id").distinct().count()
-            timers["send_deep"] += time.time() - t
-        incoming = msgs.drop("src", "known").select(*trees.COLUMNS)
+            parts = [timed("send_bfs", tagged.where("not known"), f"msgs{number}"), timed("send_deep", tagged.where("known"), f"deep{number}")]
+            msgs = parts[0].unionByName(parts[1])
+        else:
+            msgs = timed("send_bfs", tagged, f"msgs{number}")
+        incoming = msgs.select(*trees.COLUMNS)
         if not math.isinf(w_k):
             incoming = incoming.where(F.col("length") <= w_k)
         if local_minimal:
             incoming = trees.leaves_needed(incoming, F.col("mask"))
-        if prune:
-            incoming = trees.prune(trees.precombine(incoming, keep), keep)
-        else:
-            incoming = incoming.dropDuplicates(["node_id", "mask", "sig"])
+        t = time.time()
+        incoming = trees.prune(incoming, keep)
         old_rows = state.join(incoming.select("node_id").distinct(), "node_id", "left_semi")
-        pool = timed("receive", _pool(incoming, old_rows, keep), f"pool{number}a")
-        combinations = 0
-        for step in range(max(0, math.ceil(math.log2(m)))):
-            fresh = pool.where(F.col("new") == 1).drop("new")
-            born = trees.merge(fresh, pool.drop("new"))
+        pools = [_pool(incoming, old_rows, number, keep).persist()]
+        looked_at = []
+        for _ in range(max(0, math.ceil(math.log2(m)))):
+            pool = pools[-1]
+            fresh = pool.where(F.col("born") == number).drop("born")
+            looked_at.append(trees.pairs_at_nodes(fresh, pool.drop("born")))
+            born = trees.merge(fresh, pool.drop("born"))
             if not math.isinf(w_k):
                 born = born.where(F.col("length") <= w_k)
             if local_minimal:
                 born = trees.leaves_needed(born, F.col("mask"))
-            pool = timed("receive", _pool(born, pool.drop("new"), keep, pool.where("new = 1").select("node_id", "mask", "sig")), f"pool{number}{'bcdefg'[step]}")
-        fresh = pool.where("new = 1").drop("new")
-        t = time.time()
+            pools.append(_pool(born, pool, number, keep).persist())
+        pool = pools[-1]
         untouched = state.join(pool.select("node_id").distinct(), "node_id", "left_anti")
-        new_state = work.save(untouched.unionByName(pool.drop("new")), f"state{number}")
-        new_delta = work.save(fresh, f"delta{number}")
-        first_time = msgs.where("not known").select("node_id").distinct()
-        new_reached = work.save(reached.unionByName(first_time), f"reached{number}")
-        looked = new_delta if scope == "active" else new_delta.join(first_time, "node_id", "left_semi")
-        smallest = {r["mask"]: r["s"] for r in looked.groupBy("mask").agg(F.min("length").alias("s")).collect()}
-        sums = new_delta.agg(F.countDistinct("node_id")).first()
-        pairs = {r["known"]: r["n"] for r in msgs.select("src", "node_id", "known").distinct().groupBy("known").agg(F.count("*").alias("n")).collect()}
-        n_reached = new_reached.count()
-        n_frontier = n_reached - (trace[-1]["reached"] if trace else reached.count())
+        new_state = work.save(untouched.unionByName(pool), f"state{number}", ["node_id"])
+        combinations = sum(x.count() for x in looked_at) if measures else None
+        for x in pools:
+            x.unpersist()
+        timers["receive"] += time.time() - t
+        t = time.time()
+        first_time = work.save(msgs.where("not known").select("node_id").distinct().withColumn("mask", F.lit(None).cast("int")), f"visits{number}")
+        visits.append(first_time)
+        delta = new_state.where(F.col("born") == number)
+        looked = delta if scope == "active" else delta.join(first_time.select("node_id"), "node_id", "left_semi")
+        fact = lambda what, key, x, n: (F.lit(what).alias("what"), key.cast("int").alias("key"), x.cast("double").alias("x"), n.cast("long").alias("n"))
+        nothing = F.lit(None)
+        facts = [
+            looked.groupBy("mask").agg(F.min("length").alias("s")).select(*fact("smallest", F.col("mask"), F.col("s"), nothing)),
+            delta.agg(F.countDistinct("node_id").alias("c")).select(*fact("active", nothing, nothing, F.col("c"))),
+            first_time.agg(F.count("*").alias("c")).select(*fact("frontier", nothing, nothing, F.col("c"))),
+            msgs.select("src", "node_id", "known").distinct().groupBy("known").agg(F.count("*").alias("c")).select(*fact("pairs", F.col("known"), nothing, F.col("c"))),
+            msgs.agg(F.sum(F.size("tree")).alias("c")).select(*fact("tree_edges", nothing, nothing, F.coalesce("c", F.lit(0)))),
+        ]
+        facts += [new_state.agg(F.count("*").alias("c")).select(*fact("state_rows", nothing, nothing, F.col("c")))] if measures else []
+        told: dict[str, dict] = {}
+        for r in functools.reduce(DataFrame.unionByName, facts).collect():  # a few rows and 2^m
+            told.setdefault(r["what"], {})[r["key"]] = r["x"] if r["what"] == "smallest" else r["n"]
+        smallest = told.get("smallest", {})
+        active, n_frontier, pairs = told["active"][None], told["frontier"][None], told.get("pairs", {})
+        n_reached += n_frontier
         timers["send_aggregator"] += time.time() - t
         t = time.time()
-        found = [r.asDict(True) for r in trees.minimal_answers(new_delta, full).dropDuplicates(["sig"]).orderBy("length", "sig").limit(k).collect()]
+        found = [r.asDict(True) for r in trees.minimal_answers(delta.drop("born"), full).dropDuplicates(["sig"]).orderBy("length", "sig").limit(k).collect()]
         timers["evaluate"] += time.time() - t
         best = _fold(best, found, k)
         largest: dict[int, float] = {}
@@ -161,24 +184,24 @@ def relationship_search(
         candidates = traversed = 0
         if measures and largest:
             wanted = [f"(mask = {s} AND length + {e_min} < {v})" for s, v in largest.items() if not math.isinf(v)]
-            may = new_delta.where(" OR ".join(wanted)).select("node_id").distinct()
+            may = delta.where(" OR ".join(wanted)).select("node_id").distinct()
             candidates = may.count()
             traversed = may.join(first_time, "node_id", "left_anti").count()
         decision = "go on"
-        if not sums[0]:
+        if not active:
             decision = "quiet"
         elif phase == "RUN" and stop == "published" and masks.stop_published(estimate, largest, len(best), k, tie_ok):
             decision = "drain"
         elif stop == "certified" and masks.lower_bound(smallest, e_min, full) >= w_k:
             decision = "certified"
         trace.append({
-            "round": number, "phase": phase, "active": sums[0], "frontier": n_frontier, "bfs_msgs": pairs.get(False, 0), "deep_msgs": pairs.get(True, 0), "reached": n_reached,
-            "state_rows": new_state.count() if measures else None, "combinations": combinations, "s": smallest, "l": largest, "w_k": None if math.isinf(w_k) else w_k, "candidates": candidates, "traversed": traversed,
-            "decision": decision, "ms": int(1000 * (time.time() - began)),
+            "round": number, "phase": phase, "active": active, "frontier": n_frontier, "bfs_msgs": pairs.get(0, 0), "deep_msgs": pairs.get(1, 0), "reached": n_reached,
+            "state_rows": told["state_rows"][None] if measures else None, "combinations": combinations, "tree_edges": told["tree_edges"][None], "s": smallest, "l": largest,
+            "w_k": None if math.isinf(w_k) else w_k, "candidates": candidates, "traversed": traversed, "decision": decision, "ms": int(1000 * (time.time() - began)),
         })
-        for name in (f"state{number - 1}", f"reached{number - 1}", f"delta{number - 1}", f"msgs{number}", *(f"pool{number}{x}" for x in "abcdefg")):
+        for name in (f"state{number - 1}", f"msgs{number}", *([f"deep{number}"] if profile else [])):
             work.drop(name)
-        state, delta, reached = new_state, new_delta, new_reached
+        state = new_state
         if decision == "quiet":
             status = "optimal" if phase == "DRAIN" else "exhausted"
             break
@@ -190,6 +213,7 @@ def relationship_search(
                 status = "optimal_unproven"
                 break
             phase = "DRAIN"
+    work.close()
     if not best:
         status = "no_answer" if status in ("exhausted", "optimal") else status
     out.status = status
@@ -197,14 +221,10 @@ def relationship_search(
     return _finish(spark, graph, out, best, trace, m, estimate if status.startswith("truncated") else None, measures)
 
 
-def _pool(born: DataFrame, had: DataFrame, keep: int, marked: DataFrame | None = None) -> DataFrame:
-    """Pruned rows of the touched nodes with ``new``: 1 for what was born this round and was not there before."""
-    ranked = born.withColumn("new", F.lit(1)).unionByName(had.withColumn("new", F.lit(0)))
-    if marked is not None:
-        ranked = born.withColumn("new", F.lit(1)).unionByName(had.join(marked.withColumn("m", F.lit(1)), ["node_id", "mask", "sig"], "left").withColumn("new", F.coalesce("m", F.lit(0))).drop("m"))
-    rest = [c for c in trees.COLUMNS if c not in ("node_id", "mask", "sig")]
-    once = ranked.groupBy("node_id", "mask", "sig").agg(F.min_by(F.struct("new", *rest), "new").alias("r")).select("node_id", "mask", "sig", "r.*")
-    return trees.prune(once, keep).select(*trees.COLUMNS, "new")
+def _pool(fresh: DataFrame, had: DataFrame, number: int, keep: int) -> DataFrame:
+    """Pruned rows of the touched nodes, dealt by node; ``born`` is the round in which a row came, the first if it came again."""
+    both = fresh.withColumn("born", F.lit(number)).unionByName(had).repartition("node_id")
+    return trees.prune(both, keep).select(*trees.COLUMNS, "born")
 
 
 def _finish(spark: SparkSession, graph: RelGraph, out: SearchResult, best: list[dict], trace: list[dict], m: int, estimate: dict | None, measures: bool) -> SearchResult:

@@ -30,24 +30,36 @@ def seed_rows(seeds: DataFrame) -> DataFrame:
     ).withColumnRenamed("part", "mask").select(*COLUMNS)
 
 
-def grow(delta: DataFrame, edges: DataFrame, seeds: DataFrame) -> DataFrame:
-    """Trees carried over one edge; ``src`` is the sender. A node already in the tree is not entered again."""
-    own = seeds.select(F.col("node_id").alias("dst"), F.col("mask").alias("own"))
-    sent = delta.join(edges.select("src", "dst", F.col("length").alias("w")), delta["node_id"] == F.col("src")).where(~F.array_contains("members", F.col("dst"))).join(own, "dst", "left")
+def grow(delta: DataFrame, edges: DataFrame, reached: DataFrame) -> DataFrame:
+    """Trees carried over one edge to ``node_id``; ``src`` is the sender, ``known`` says if the receiver was reached before.
+
+    ``reached(node_id, mask)`` are the nodes reached so far, with the mask of
+    those that have keywords. A node already in the tree is not entered again.
+    One exchange, by the receiver, serves this join and all that follows there.
+    """
+    own = reached.select(F.col("node_id").alias("dst"), F.col("mask").alias("own"), F.lit(True).alias("known"))
+    sent = delta.join(edges.select("src", "dst", F.col("length").alias("w")), delta["node_id"] == F.col("src")).where(~F.array_contains("members", F.col("dst")))
+    sent = sent.drop("node_id").join(own, "dst", "left")
     edge = F.struct(F.least("src", "dst").alias("a"), F.greatest("src", "dst").alias("b"), F.col("w").alias("len"))
     bearer = F.array(F.struct(F.col("dst").alias("node"), F.col("own").alias("mask")))
-    grown = sent.select(
-        "src", "dst", "mask", (F.col("length") + F.col("w")).alias("length"), F.lit("grow").alias("origin"), F.array_append("members", F.col("dst")).alias("members"),
-        F.when(F.col("own").isNull(), F.col("bearers")).otherwise(F.concat("bearers", bearer)).alias("bearers"), F.array_append("tree", edge).alias("tree"),
+    tree = F.array_append("tree", edge)
+    return sent.select(
+        F.col("dst").alias("node_id"), "mask", (F.col("length") + F.col("w")).alias("length"), signature(tree, F.col("dst")).alias("sig"), F.lit("grow").alias("origin"),
+        F.array_append("members", F.col("dst")).alias("members"), F.when(F.col("own").isNull(), F.col("bearers")).otherwise(F.concat("bearers", bearer)).alias("bearers"), tree.alias("tree"),
+        "src", F.coalesce("known", F.lit(False)).alias("known"),
     )
-    return grown.withColumn("sig", signature(F.col("tree"), F.col("dst"))).withColumnRenamed("dst", "node_id")
 
 
-def merge(fresh: DataFrame, pool: DataFrame) -> DataFrame:
-    """Trees of disjoint subsets at one node that share the root alone."""
+def pairs_at_nodes(fresh: DataFrame, pool: DataFrame) -> DataFrame:
+    """Trees of disjoint subsets that meet at a node: what a merge looks at."""
     a = fresh.select("node_id", *[F.col(c).alias(f"a_{c}") for c in COLUMNS[1:]])
     b = pool.select("node_id", *[F.col(c).alias(f"b_{c}") for c in COLUMNS[1:]])
-    both = a.join(b, "node_id").where((F.col("a_mask").bitwiseAND(F.col("b_mask")) == 0) & (F.size(F.array_intersect("a_members", "b_members")) == 1))
+    return a.join(b, "node_id").where(F.col("a_mask").bitwiseAND(F.col("b_mask")) == 0)
+
+
+def merge(fresh: DataFrame, pool: DataFrame) -> DataFrame:
+    """Trees of disjoint subsets at one node that share the root alone."""
+    both = pairs_at_nodes(fresh, pool).where(F.size(F.array_intersect("a_members", "b_members")) == 1)
     rows = both.select(
         "node_id", F.col("a_mask").bitwiseOR(F.col("b_mask")).alias("mask"), (F.col("a_length") + F.col("b_length")).alias("length"), F.lit("merge").alias("origin"),
         F.array_union("a_members", "b_members").alias("members"), F.array_union("a_bearers", "b_bearers").alias("bearers"), F.concat("a_tree", "b_tree").alias("tree"),
@@ -79,13 +91,11 @@ def minimal_answers(rows: DataFrame, full: int) -> DataFrame:
 
 
 def prune(rows: DataFrame, keep: int) -> DataFrame:
-    """The ``keep`` lightest different trees of each node and subset; ties by signature."""
-    once = rows.dropDuplicates(["node_id", "mask", "sig"])
-    order = Window.partitionBy("node_id", "mask").orderBy("length", "sig")
-    return once.withColumn("place", F.row_number().over(order)).where(F.col("place") <= keep).drop("place")
+    """The ``keep`` lightest different trees of each node and subset; ties by signature.
 
-
-def precombine(rows: DataFrame, keep: int) -> DataFrame:
-    """A first cut inside each task, so at most ``keep`` rows a node and subset leave it."""
-    order = Window.partitionBy("task", "node_id", "mask").orderBy("length", "sig")
-    return rows.withColumn("task", F.spark_partition_id()).withColumn("place", F.row_number().over(order)).where(F.col("place") <= keep).drop("place", "task")
+    Rows that lie by ``node_id`` already are not exchanged; others are once.
+    """
+    order = Window.partitionBy("node_id", "mask").orderBy("length", "sig")
+    lightest = rows.withColumn("place", F.dense_rank().over(order)).where(F.col("place") <= keep)
+    twin = Window.partitionBy("node_id", "mask").orderBy("length", "sig", *(["born"] if "born" in rows.columns else []))
+    return lightest.withColumn("again", F.lag("sig").over(twin)).where(F.col("again").isNull() | (F.col("again") != F.col("sig"))).drop("place", "again")
