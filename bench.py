@@ -2,14 +2,16 @@
 
 Times are of a warm session with graphs prepared and cached, as the published
 ones leave out start-up, first load and final writing. ``python bench.py
---workload`` also runs the workload grid (K of 1, 2, 5, 10) and prints a table
-of the measures to stderr.
+--workload`` also runs the grid of K of 1, 2, 5 and 10 on the contact graph and
+prints a table of the measures to stderr; ``--scaling`` runs two searches on
+1, 2, 4 and 8 cores.
 """
 
 from __future__ import annotations
 
 import json
 import os
+import subprocess
 import sys
 import time
 
@@ -46,6 +48,26 @@ def cached(g: RelGraph) -> RelGraph:
     return g
 
 
+def one_search(m: int) -> None:
+    """One search of m keywords on the contact graph in this process; prints its seconds."""
+    spark = session()
+    contact = cached(builders.contact_graph(spark, SF_DIR))
+    s = find_seeds(build_index(contact.vertices), contact.vertices, w.TERMS[:m]).persist()
+    s.count()
+    relationship_search(contact, s, m, 1, max_supersteps=1)
+    print(report.timed(lambda: relationship_search(contact, s, m, 1))[1])
+
+
+def scaling() -> None:
+    """Seconds and efficiency of two searches by number of cores, each in a process of its own."""
+    for m in (2, 3):
+        took = {}
+        for cores in (1, 2, 4, 8):
+            done = subprocess.run([sys.executable, __file__, f"--one={m}"], env=os.environ | {"BENCH_CPUS": str(cores)}, capture_output=True, text=True, check=True)
+            took[cores] = round(float(done.stdout.split()[-1]), 2)
+        print(json.dumps({"m": m, "seconds": took, "efficiency": {p: round(x, 2) for p, x in report.parallel_efficiency(took).items()}}))
+
+
 def main() -> None:
     spark, took = session(), {}
     from relq.plans import registry
@@ -65,22 +87,22 @@ def main() -> None:
     seeds = find_seeds(index, fk.vertices, ["anvil", "asia"]).persist()
     clock("bfs_fk", lambda: waves.parallel_bfs(fk, seeds.where("mask = 2"))[0].count())
     pair = find_seeds(index, fk.vertices, ["asia", "anvil"]).withColumn("query_id", F.lit(0)).select("query_id", "node_id", "mask")
-    clock("fk_k1", lambda: batch_search(fk, pair, {0: 2}, max_supersteps=6)[0].collect())
+    clock("fk_k1", lambda: batch_search(fk, pair, {0: 2})[0].collect())
     fk.edges.unpersist()
 
-    ids = list(range(0, 40)) if "--workload" in sys.argv else [0, 5, 10, 15, 20, 25]
-    content, seeds, queries = w.content_batch(spark, SF_DIR, ids)
+    content, seeds, queries = w.content_batch(spark, SF_DIR, list(range(100)))
     seeds = seeds.persist()
     content.edges.count(), seeds.count()
-    clock("workload_k1", lambda: batch_search(content, seeds, queries, max_supersteps=4)[0].collect())
+    clock("workload_k1", lambda: batch_search(content, seeds, queries)[0].collect())  # all hundred, to their own end
     took["workload_mean_k1"] = round(took["workload_k1"] / len(queries), 3)
+    content.edges.unpersist()
 
     contact = cached(builders.contact_graph(spark, SF_DIR))
     rows = []
     for k in (1, 2, 5, 10) if "--workload" in sys.argv else (1,):
         for m in (2, 3) if "--workload" in sys.argv else (2,):
             s = find_seeds(build_index(contact.vertices), contact.vertices, w.TERMS[:m]).persist()
-            found, seconds = report.timed(lambda s=s, m=m, k=k: relationship_search(contact, s, m, k, max_supersteps=6, measures=True))
+            found, seconds = report.timed(lambda s=s, m=m, k=k: relationship_search(contact, s, m, k, measures=True))
             took[f"contact_m{m}_k{k}"] = round(seconds, 3)
             rows.append(report.report_row(len(rows), m, k, found, seconds, s.count()))
     if "--workload" in sys.argv:
@@ -89,4 +111,10 @@ def main() -> None:
 
 
 if __name__ == "__main__":
-    main()
+    one = [a for a in sys.argv if a.startswith("--one=")]
+    if one:
+        one_search(int(one[0][6:]))
+    elif "--scaling" in sys.argv:
+        scaling()
+    else:
+        main()

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..plans.workspace import Workspace
@@ -54,28 +54,53 @@ def backward_expansion(graph: RelGraph, seeds: DataFrame, m: int, k: int = 1, ma
     lengths = keyword_distances(graph, seeds, m, max_rounds)
     scored = lengths.groupBy("node_id").agg(F.count("*").alias("n"), F.sum("length").alias("score")).where(F.col("n") == m)
     top = scored.select(F.col("node_id").alias("root"), "score").orderBy("score", "root").limit(k)
-    from pyspark.sql import Window
-
     return top.withColumn("rank", F.row_number().over(Window.orderBy("score", "root"))).select("rank", "root", "score")  # k rows
 
 
-def threshold_topk(lists: DataFrame, k: int) -> tuple[DataFrame, int]:
-    """The k least sums over ``lists(list_no, item, value)`` by sorted and random access, and the depth read.
+def backward_trees(graph: RelGraph, seeds: DataFrame, m: int, k: int = 1, max_rounds: int | None = None) -> DataFrame:
+    """``(rank, root, score, weight, edges)``: the k best roots with the union of their paths to all keywords.
 
-    Depth doubles until the sum of the values at that depth, which no unseen
-    item can undercut, reaches the k-th best of the items seen.
+    ``weight`` counts an edge that several paths share once, so it is at most
+    the score. Paths are followed through the pointers of the waves; the
+    driver holds the nodes of k trees.
     """
-    from pyspark.sql import Window
+    spark, lengths = graph.edges.sparkSession, keyword_distances(graph, seeds, m, max_rounds)
+    scored = lengths.groupBy("node_id").agg(F.count("*").alias("n"), F.sum("length").alias("score")).where(F.col("n") == m)
+    top = [(rank, r["node_id"], r["score"]) for rank, r in enumerate(scored.orderBy("score", "node_id").limit(k).collect(), 1)]
+    paths: dict[int, dict[tuple[int, int], float]] = {rank: {} for rank, *_ in top}
+    held = [(rank, root, bit, None, None) for rank, root, _ in top for bit in range(m)]
+    while held:
+        here = F.broadcast(spark.createDataFrame([h[:3] for h in held], "rank int, node_id long, bit int"))
+        came = {(rank, node, bit): (length, before) for rank, node, bit, before, length in held}
+        held = []
+        for r in lengths.join(here, ["node_id", "bit"]).collect():
+            length, before = came[r["rank"], r["node_id"], r["bit"]]
+            if before is not None:
+                paths[r["rank"]][min(before, r["node_id"]), max(before, r["node_id"])] = length - r["length"]
+            if r["via"] is not None:
+                held.append((r["rank"], r["via"], r["bit"], r["node_id"], r["length"]))
+    rows = [(rank, root, float(score), float(sum(paths[rank].values())), sorted((a, b) for a, b in paths[rank])) for rank, root, score in top]
+    return spark.createDataFrame(rows, "rank int, root long, score double, weight double, edges array<struct<a:bigint,b:bigint>>")
+
 
-    ranked = lists.withColumn("depth", F.row_number().over(Window.partitionBy("list_no").orderBy("value", "item")))
-    n_lists, longest = ranked.agg(F.countDistinct("list_no"), F.max("depth")).first()
-    totals = lists.groupBy("item").agg(F.sum("value").alias("total"), F.count("*").alias("n")).where(F.col("n") == n_lists)
-    depth = k
-    while True:
-        seen = ranked.where(F.col("depth") <= depth).select("item").distinct()
-        best = totals.join(seen, "item", "left_semi").select("item", "total").orderBy("total", "item").limit(k)
-        edge = ranked.where(F.col("depth") == depth).agg(F.sum("value"), F.count("*")).first()
-        worst = [r["total"] for r in best.collect()]
-        if depth >= (longest or 0) or (len(worst) == k and edge[1] == n_lists and edge[0] > worst[-1]):
-            return best, min(depth, longest or 0)
-        depth *= 2
+def threshold_topk(lists: DataFrame, k: int, steps: int = 12) -> tuple[DataFrame, int]:
+    """The k least sums over ``lists(list_no, item, value)`` by sorted and random access, and the rows read in order.
+
+    Each list is read up to a value, at first that of a 4096th of its rows,
+    then of ever larger shares. An item not seen yet is above that value in
+    every list, so once the k-th best of the items seen is at most the sum of
+    the values read up to, none of the others can enter. Only items seen are
+    looked up in the other lists; no list is ranked or sorted as a whole.
+    """
+    shares = [0.5**j for j in range(steps, -1, -1)]
+    cuts = lists.groupBy("list_no").agg(F.percentile_approx("value", F.lit(shares), F.lit(100_000)).alias("cuts")).collect()  # a row a list
+    best, read = lists.limit(0).select("item", F.col("value").alias("total")), 0
+    for j in range(len(shares)):
+        upto = F.broadcast(lists.sparkSession.createDataFrame([(c["list_no"], float(c["cuts"][j])) for c in cuts] or [(None, 0.0)], f"list_no {dict(lists.dtypes)['list_no']}, upto double"))
+        seen = lists.join(upto, "list_no").where(F.col("value") <= F.col("upto"))
+        totals = lists.join(seen.select("item").distinct(), "item", "left_semi").groupBy("item").agg(F.sum("value").alias("total"), F.countDistinct("list_no").alias("n"))
+        best = totals.where(F.col("n") == len(cuts)).select("item", "total").orderBy("total", "item").limit(k)
+        worst, read = [r["total"] for r in best.collect()], seen.count()
+        if len(worst) == k and worst[-1] <= sum(c["cuts"][j] for c in cuts):
+            break
+    return best, read

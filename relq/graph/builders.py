@@ -4,10 +4,12 @@ from __future__ import annotations
 
 from functools import reduce
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..schema import RelGraph, node_id, text_key
+from ..schema import RelGraph, check_names, node_id, text_key
 from .lengths import assign_lengths, mirror
 
 
@@ -86,8 +88,8 @@ def link_parts(pages: DataFrame) -> tuple[DataFrame, DataFrame]:
     """Pages with the paths they refer to and the hosts that serve them."""
     rows = pages.select("page_id", F.parse_url("url", F.lit("HOST")).alias("host"), F.array_distinct(F.regexp_extract_all("html", F.lit(HREF), F.lit(1))).alias("hrefs"), "url")
     links = rows.select("page_id", F.explode("hrefs").alias("path"))
-    paths, hosts = links.select("path").distinct(), rows.where("host is not null").select("host").distinct()
-    vertices = _all([_nodes(rows, "page", "page_id", F.col("url")), _nodes(paths, "path", text_key(F.col("path")), F.col("path")), _nodes(hosts, "host", text_key(F.col("host")), F.col("host"))])
+    paths, hosts = check_names(links, "path"), check_names(rows, "host")
+    vertices = _all([_nodes(rows, "page", "page_id", F.col("url")), _nodes(paths, "path", "name_key", F.col("path")), _nodes(hosts, "host", "name_key", F.col("host"))])
     hosted = rows.where("host is not null").withColumn("h", text_key(F.col("host")))
     return vertices, _all([_edges(links.withColumn("p", text_key(F.col("path"))), ("page", "page_id"), ("path", "p"), "refers_to"), _edges(hosted, ("page", "page_id"), ("host", "h"), "served_by")])
 
@@ -97,9 +99,11 @@ def link_graph(spark: SparkSession, sf_dir: str, tau: int | None = 1001, scheme:
 
 
 def dialog_parts(conversations: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """Turns with the next turn of their conversation, and with the conversation."""
-    turn_no = (F.col("conv_id") * 4096 + F.col("turn")).alias("turn_no")
-    rows = conversations.select("conv_id", "turn", "text", turn_no)
+    """Turns with the next turn of their conversation, and with the conversation; a turn's key is a hash of both numbers, checked for clashes."""
+    name = F.concat_ws("/", F.col("conv_id").cast("string"), F.col("turn").cast("string"))
+    named = conversations.select("conv_id", "turn", "text", name.alias("turn_name"))
+    check_names(named, "turn_name")
+    rows = named.withColumn("turn_no", text_key(F.col("turn_name")))
     following = rows.withColumn("next_no", F.lead("turn_no").over(Window.partitionBy("conv_id").orderBy("turn"))).where("next_no is not null")
     vertices = _all([_nodes(rows, "turn", "turn_no", F.col("text")), _nodes(rows.select("conv_id").distinct(), "conversation", "conv_id", F.lit(""))])
     return vertices, _all([_edges(following, ("turn", "turn_no"), ("turn", "next_no"), "next"), _edges(rows, ("turn", "turn_no"), ("conversation", "conv_id"), "part_of")])
@@ -116,10 +120,11 @@ def content_parts(documents: DataFrame, labels: DataFrame) -> tuple[DataFrame, D
     """Documents with their words (nodes without text), source, language and labels."""
     rows = documents.select("doc_id", "text", "lang", "source")
     words = rows.select("doc_id", F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(WORD), F.lit(0)))).alias("word")).withColumn("w", text_key(F.col("word")))
+    known = check_names(words, "word")
     facts = rows.withColumn("l", text_key(F.col("lang"))).withColumn("s", text_key(F.col("source")))
     marks = labels.select("doc_id", F.explode(F.array(F.col("quality"), F.col("toxic") + 2)).alias("mark"))
     vertices = _all([
-        _nodes(rows, "document", "doc_id", F.col("text")), _nodes(words.select("w").distinct(), "word", "w", F.lit("")), _nodes(facts.where("l is not null").select("l", "lang").distinct(), "lang", "l", F.col("lang")),
+        _nodes(rows, "document", "doc_id", F.col("text")), _nodes(known, "word", "name_key", F.lit("")), _nodes(facts.where("l is not null").select("l", "lang").distinct(), "lang", "l", F.col("lang")),
         _nodes(facts.where("s is not null").select("s", "source").distinct(), "source", "s", F.col("source")), _nodes(marks.select("mark").distinct(), "label", "mark", F.element_at(F.array(*[F.lit(x) for x in ("poor", "good", "civil", "toxic")]), F.col("mark") + 1)),
     ])
     return vertices, _all([
@@ -132,19 +137,33 @@ def content_graph(spark: SparkSession, sf_dir: str, tau: int | None = 1001, sche
     return _finish(*content_parts(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")), scheme, tau)
 
 
-def knn_pairs(embeddings: DataFrame, k: int = 8, blocks: int = 8) -> DataFrame:
-    """``vec_id, near_id, distance``: the k nearest by cosine distance, ties by id, from blockwise products.
+def knn_pairs(embeddings: DataFrame, k: int = 8, block: int = 2_048) -> DataFrame:
+    """``vec_id, near_id, distance``: the k nearest by cosine distance, ties by id.
 
-    A stated set against all rows: the query side is cut into blocks, each a
-    task that reads the whole other side once.
+    Vectors are dealt to blocks of about ``block`` rows; every two blocks are
+    one task's matrix product, which keeps the k nearest of each of its rows,
+    so what is merged is k rows a vector and block, never a row a pair.
     """
     unit = F.transform("embedding", lambda x: x.cast("double"))
     norm = F.sqrt(F.aggregate(unit, F.lit(0.0), lambda a, x: a + x * x))
     rows = embeddings.where("embedding is not null").select("vec_id", F.transform(unit, lambda x: x / norm).alias("v")).where(norm > 0)
-    left = rows.withColumn("block", F.pmod("vec_id", F.lit(blocks)))
-    right = rows.select(F.col("vec_id").alias("near_id"), F.col("v").alias("w"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block"))
-    dot = F.aggregate(F.zip_with("v", "w", lambda a, b: a * b), F.lit(0.0), lambda a, x: a + x)
-    pairs = left.join(right, "block").where("vec_id <> near_id").select("vec_id", "near_id", F.greatest(1 - dot, F.lit(1e-9)).alias("distance"))
+    blocks = max(1, -(-rows.count() // block))
+    spread = rows.withColumn("mine", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+    asks = spread.select("vec_id", "v", F.col("mine").alias("i"), F.col("other").alias("j"), F.lit(True).alias("ask"))
+    answers = spread.select("vec_id", "v", F.col("other").alias("i"), F.col("mine").alias("j"), F.lit(False).alias("ask"))
+
+    def nearest(frame: pd.DataFrame) -> pd.DataFrame:
+        left, right = frame[frame["ask"]], frame[~frame["ask"]].sort_values("vec_id")
+        if left.empty or right.empty:
+            return pd.DataFrame({"vec_id": [], "near_id": [], "distance": []}).astype({"vec_id": "int64", "near_id": "int64"})
+        ids, others = left["vec_id"].to_numpy(), right["vec_id"].to_numpy()
+        far = np.maximum(1 - np.stack(left["v"].to_numpy()) @ np.stack(right["v"].to_numpy()).T, 1e-9)
+        far[ids[:, None] == others[None]] = np.inf
+        order = np.argsort(np.round(far, 9), axis=1, kind="stable")[:, :k]
+        found = pd.DataFrame({"vec_id": np.repeat(ids, order.shape[1]), "near_id": others[order].ravel(), "distance": np.take_along_axis(far, order, 1).ravel()})
+        return found[np.isfinite(found["distance"])]
+
+    pairs = asks.unionByName(answers).groupBy("i", "j").applyInPandas(nearest, "vec_id long, near_id long, distance double")
     order = Window.partitionBy("vec_id").orderBy(F.round("distance", 9), "near_id")
     return pairs.withColumn("r", F.row_number().over(order)).where(F.col("r") <= k).drop("r")
 
@@ -164,11 +183,8 @@ def triple_graph(triples: DataFrame, tau: int | None = 1001, scheme: str = "step
     Raises ValueError if two names share a number.
     """
     literal = F.col("object").startswith('"')
-    names = triples.select(F.col("subject").alias("name")).unionByName(triples.where(~literal).select(F.col("object").alias("name"))).distinct()
-    numbered = names.withColumn("n", text_key(F.col("name")))
-    clash = numbered.groupBy("n").count().where("count > 1").limit(1).count()
-    if clash:
-        raise ValueError("two resources share a hashed number")
+    names = triples.select(F.col("subject").alias("name")).unionByName(triples.where(~literal).select(F.col("object").alias("name")))
+    numbered = check_names(names, "name").withColumnRenamed("name_key", "n")
     texts = triples.where(literal).groupBy("subject").agg(F.concat_ws(" ", F.sort_array(F.collect_list(F.expr("trim(both '\"' from object)")))).alias("t"))
     named = numbered.join(texts, numbered["name"] == texts["subject"], "left").select("n", F.coalesce("t", "name").alias("text"))
     vertices = _nodes(named, "resource", "n", F.col("text"))

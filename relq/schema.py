@@ -16,15 +16,25 @@ KEY_BITS = 48
 
 
 def node_id(kind: str, key: Column | str) -> Column:
-    key = F.col(key) if isinstance(key, str) else key
-    return F.lit(KINDS[kind] << KEY_BITS).bitwiseOR(key.cast("long"))
+    """Id of a tuple; null for a null key. A key below zero or of more than 48 bits stops the job, as it would meet another node's id."""
+    key = (F.col(key) if isinstance(key, str) else key).cast("long")
+    fits = key.isNull() | ((key >= 0) & (key < 1 << KEY_BITS))
+    return F.when(fits, F.lit(KINDS[kind] << KEY_BITS).bitwiseOR(key)).otherwise(F.raise_error(F.lit(f"a key of kind {kind} does not fit 48 bits")).cast("long"))
 
 
 def text_key(text: Column) -> Column:
-    """A key for nodes named by text alone: 47 bits of a hash."""
+    """A key for nodes named by text alone: 47 bits of a hash; ``check_names`` tells if two names share one."""
     return F.xxhash64(text).bitwiseAND((1 << 47) - 1)
 
 
+def check_names(names: DataFrame, column: str) -> DataFrame:
+    """The distinct names of ``column`` with their key as ``name_key``; raises ValueError if two of them share it."""
+    numbered = names.select(column).where(F.col(column).isNotNull()).distinct().withColumn("name_key", text_key(F.col(column)))
+    if numbered.groupBy("name_key").count().where("count > 1").limit(1).count():
+        raise ValueError(f"two values of {column} share a hashed key")
+    return numbered
+
+
 @dataclass(frozen=True)
 class RelGraph:
     """``vertices(node_id, kind, key, text)`` and ``edges(src, dst, label, length, mirrored)``."""

@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import math
-from itertools import combinations
 
 
 def submasks(mask: int) -> list[int]:
@@ -147,6 +146,3 @@ def is_minimal(edges: list[tuple[int, int, float]], owners: dict[int, int], full
             return False
     return True
 
-
-def all_pairs(items: list) -> list[tuple]:
-    return list(combinations(items, 2))

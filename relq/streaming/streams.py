@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import itertools
 import uuid
 from collections.abc import Iterator
 
@@ -108,10 +109,10 @@ def st_stateful_alert(s, d):
     return run_once(s, alerts).groupBy("user_id").agg(F.max("n_kinds").alias("n_kinds"))
 
 
-def relax(dist: DataFrame, edges: DataFrame, fresh: DataFrame, work, rounds: int = 64) -> DataFrame:
+def relax(dist: DataFrame, edges: DataFrame, fresh: DataFrame, work) -> DataFrame:
     """Lowers ``dist(node, hop)`` after ``fresh`` edges: only nodes that got nearer send on."""
     wave = dist.join(fresh, dist["node"] == fresh["src"]).select(F.col("dst").alias("node"), (F.col("hop") + 1).alias("hop"))
-    for k in range(rounds):
+    for k in itertools.count():
         better = wave.groupBy("node").agg(F.min("hop").alias("hop"))
         had = dist.select("node", F.col("hop").alias("had"))
         gained = work.save(better.join(had, "node", "left").where(F.col("had").isNull() | (F.col("hop") < F.col("had"))).select("node", "hop"), f"gained{k}")

@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
+import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -10,8 +13,9 @@ from ..graph import builders, lengths
 from ..graph.builders import table as t
 from ..measures import report
 from ..operators.relational import query
+from ..plans.workspace import Workspace
 from ..schema import RelGraph, node_id
-from ..search import masks
+from ..search import masks, trees
 from ..search.batch import batch_search, partial_rows, rebuild
 from ..search.driver import relationship_search
 from ..text.index import build_index, document_frequency
@@ -192,9 +196,9 @@ def _sql_seeds(m: int) -> str:
     return " UNION ALL ".join(rows)
 
 
-def _sql_distances(m: int, rounds: int = ROUNDS) -> str:
+def _sql_distances(m: int, rounds: int = ROUNDS, seeds: str | None = None) -> str:
     """Unrolled relaxation: layer n holds the least length of each node and keyword over at most n edges."""
-    out = [_CONTACT, f", nodes AS (SELECT DISTINCT src AS node FROM g UNION SELECT DISTINCT a FROM p UNION SELECT DISTINCT b FROM p), d0 AS (SELECT node, q, 0.0::DOUBLE AS w FROM ({_sql_seeds(m)}))"]
+    out = [_CONTACT, f", nodes AS (SELECT DISTINCT src AS node FROM g UNION SELECT DISTINCT a FROM p UNION SELECT DISTINCT b FROM p), d0 AS (SELECT node, q, 0.0::DOUBLE AS w FROM ({seeds or _sql_seeds(m)}))"]
     for n in range(1, rounds + 1):
         out.append(f", d{n} AS (SELECT node, q, min(w) AS w FROM (SELECT * FROM d{n - 1} UNION ALL SELECT g.dst, q, x.w + g.w FROM d{n - 1} x JOIN g ON g.src = x.node) GROUP BY node, q)")
     return " ".join(out)
@@ -223,8 +227,8 @@ def explored_and_messages(s, d):
     return reached.agg(F.round(F.lit(100.0) * F.count("*") / n, 6).alias("pct_explored"), F.round(F.lit(100.0 * sent / e), 6).alias("pct_messages"))
 
 
-def _sum_of(m: int) -> str:
-    return f"{_sql_distances(m)}, t AS (SELECT node, sum(w) AS w, count(*) AS n FROM d{ROUNDS} GROUP BY node) SELECT {m} AS m, min(w) AS weight FROM t WHERE n = {m}"
+def _sum_of(m: int, seeds: str | None = None) -> str:
+    return f"{_sql_distances(m, seeds=seeds)}, t AS (SELECT node, sum(w) AS w, count(*) AS n FROM d{ROUNDS} GROUP BY node) SELECT {m} AS m, min(w) AS weight FROM t WHERE n = {m}"
 
 
 def _best_weight(s, d, m: int) -> DataFrame:
@@ -294,20 +298,81 @@ def backward_expansion_topk(s, d):
     return waves.backward_expansion(g, seeds, 3, 5).select("score")
 
 
-@query("""SELECT 0.0::DOUBLE AS weight WHERE EXISTS (SELECT user_id FROM events WHERE user_id % 10 = 7 GROUP BY user_id HAVING count(*) FILTER (CAST(json_extract_string(props, '$.k') AS BIGINT) = 3) > 0 AND count(*) FILTER (event_type = 'error') > 0)""")
-def rel_lead_groups(s, d):
-    """Three groups of leads: users of a bucket, users whose id ends in 7, users with an error."""
+def _lead_weight(s, d, groups: list[DataFrame]) -> DataFrame:
+    """Lightest tree over groups of users, each given as rows with ``user_id``."""
     g, _ = _contact(s, d, 1)
+    parts = [rows.select(node_id("user", "user_id").alias("node_id"), F.lit(1 << i).alias("mask")).distinct() for i, rows in enumerate(groups)]
+    seeds = reduce(DataFrame.unionByName, parts).groupBy("node_id").agg(F.bit_or("mask").cast("int").alias("mask")).select(F.lit(0).alias("query_id"), "node_id", "mask")
+    return batch_search(g, seeds, {0: len(groups)})[0].select(F.lit(len(groups)).alias("m"), "weight")
+
+
+@query()
+def backward_expansion_trees(s, d):
+    """The five best roots with the union of their shortest paths."""
+    g, seeds = _contact(s, d, 3)
+    return waves.backward_trees(g, seeds, 3, 5)
+
+
+@query(_sum_of(3, """SELECT DISTINCT 'u'||user_id AS node, 0 AS q FROM events WHERE CAST(json_extract_string(props, '$.k') AS BIGINT) = 3
+UNION ALL SELECT DISTINCT 'u'||user_id, 1 FROM events WHERE user_id % 10 = 7 UNION ALL SELECT DISTINCT 'u'||user_id, 2 FROM events WHERE event_type = 'error'"""))
+def rel_lead_groups(s, d):
+    """Three groups of leads: users of a bucket, users whose id ends in 7, users with an error. They may share users."""
     e = t(s, d, "events")
-    user = node_id("user", "user_id")
-    groups = [e.where(F.get_json_object("props", "$.k").cast("long") == 3), e.where("user_id % 10 = 7"), e.where("event_type = 'error'")]
-    seeds = None
-    for i, rows in enumerate(groups):
-        part = rows.select(user.alias("node_id"), F.lit(1 << i).alias("mask")).distinct()
-        seeds = part if seeds is None else seeds.unionByName(part)
-    seeds = seeds.groupBy("node_id").agg(F.bit_or("mask").cast("int").alias("mask"))
-    answers, _, _ = batch_search(g, seeds.withColumn("query_id", F.lit(0)).select("query_id", "node_id", "mask"), {0: 3})
-    return answers.select("weight").where("weight = 0")
+    return _lead_weight(s, d, [e.where(F.get_json_object("props", "$.k").cast("long") == 3), e.where("user_id % 10 = 7"), e.where("event_type = 'error'")])
+
+
+@query(_sum_of(3, """SELECT DISTINCT 'u'||user_id AS node, 0 AS q FROM events WHERE user_id < 4
+UNION ALL SELECT DISTINCT 'u'||user_id, 1 FROM events WHERE user_id BETWEEN 5 AND 7 UNION ALL SELECT DISTINCT 'u'||user_id, 2 FROM events WHERE user_id BETWEEN 9 AND 12"""))
+def rel_lead_groups_apart(s, d):
+    """Three groups of leads without a common user: the answer is the way they are connected."""
+    e = t(s, d, "events")
+    return _lead_weight(s, d, [e.where("user_id < 4"), e.where("user_id BETWEEN 5 AND 7"), e.where("user_id BETWEEN 9 AND 12")])
+
+
+# the search for trees, against SQL ------------------------------------------
+@query(_sum_of(3))
+def search_m3_top1(s, d):
+    """Weight of the lightest tree, by the search that carries trees, its own stop test and drain."""
+    g, seeds = _contact(s, d, 3)
+    return relationship_search(g, seeds, 3, 1).answers.select(F.lit(3).alias("m"), "weight")
+
+
+@query(_sql_distances(2, 0) + """, a AS (SELECT node FROM d0 WHERE q = 0), z AS (SELECT node FROM d0 WHERE q = 1), inner_nodes AS (SELECT node FROM nodes WHERE node NOT IN (SELECT node FROM d0)),
+way AS (SELECT 0.0::DOUBLE AS w FROM a JOIN z ON a.node = z.node
+UNION ALL SELECT g.w FROM a JOIN g ON g.src = a.node JOIN z ON z.node = g.dst WHERE a.node NOT IN (SELECT node FROM z) AND z.node NOT IN (SELECT node FROM a)
+UNION ALL SELECT x.w + y.w FROM a JOIN g x ON x.src = a.node JOIN inner_nodes i ON i.node = x.dst JOIN g y ON y.src = x.dst JOIN z ON z.node = y.dst WHERE a.node NOT IN (SELECT node FROM z) AND z.node NOT IN (SELECT node FROM a)
+UNION ALL SELECT x.w + y.w + v.w FROM a JOIN g x ON x.src = a.node JOIN inner_nodes i ON i.node = x.dst JOIN g y ON y.src = x.dst JOIN inner_nodes j ON j.node = y.dst JOIN g v ON v.src = y.dst JOIN z ON z.node = v.dst
+WHERE a.node NOT IN (SELECT node FROM z) AND z.node NOT IN (SELECT node FROM a))
+SELECT row_number() OVER (ORDER BY w)::INT AS rank, w AS weight FROM way ORDER BY w LIMIT 5""")
+def rel_m2_topk_weights(s, d):
+    """The five least weights of minimal trees for two keywords; the SQL lists ways of up to three edges."""
+    g, seeds = _contact(s, d, 2)
+    return relationship_search(g, seeds, 2, 5).answers.select("rank", "weight")
+
+
+@query(_sql_distances(2, 0) + """, sent1 AS (SELECT DISTINCT src, dst FROM g WHERE src IN (SELECT node FROM d0)), known1 AS (SELECT node FROM d0 UNION SELECT dst FROM sent1),
+held AS (SELECT DISTINCT g.dst AS node, x.node AS leaf FROM d0 x JOIN g ON g.src = x.node LEFT JOIN d0 y ON y.node = g.dst AND y.q = x.q WHERE y.node IS NULL),
+sent2 AS (SELECT DISTINCT g.src, g.dst FROM held JOIN g ON g.src = held.node WHERE g.dst <> held.leaf)
+SELECT 1::INT AS round, count(*) FILTER (dst NOT IN (SELECT node FROM d0)) AS bfs_msgs, count(*) FILTER (dst IN (SELECT node FROM d0)) AS deep_msgs FROM sent1
+UNION ALL SELECT 2, count(*) FILTER (dst NOT IN (SELECT node FROM known1)), count(*) FILTER (dst IN (SELECT node FROM known1)) FROM sent2""")
+def deep_counts(s, d):
+    """Messages to unreached and to reached nodes in the first two rounds."""
+    g, seeds = _contact(s, d, 2)
+    return relationship_search(g, seeds, 2, 10, stop="none", max_supersteps=2).trace.select("round", "bfs_msgs", "deep_msgs")
+
+
+@query(_sum_of(2).replace("SELECT 2 AS m, min(w) AS weight FROM t WHERE n = 2", "SELECT variant, weight FROM (SELECT min(w) AS weight FROM t WHERE n = 2), (VALUES ('published'), ('certified'), ('none'), ('half cut')) v(variant)"))
+def stop_weights(s, d):
+    """Each exact stop rule ends at the same weight."""
+    g, seeds = _contact(s, d, 2)
+    rows = []
+    for name, options in EXACT_STOPS.items():
+        found = relationship_search(g, seeds, 2, 1, **options)
+        rows.append((name, float(found.best[0]["length"])))
+    return s.createDataFrame(rows, "variant string, weight double")
+
+
+EXACT_STOPS = {"published": {}, "certified": {"stop": "certified"}, "none": {"stop": "none"}, "half cut": {"stop": "none", "half_cut": True}}
 
 
 @query("""WITH RECURSIVE e(k, v) AS (SELECT a, b::DOUBLE FROM (VALUES (1, 4.0), (2, 5.0), (3, 6.0), (4, 2.0), (5, 9.0), (6, 3.0)) x(a, b)), c(m, w, n) AS (SELECT 0, 0.0::DOUBLE, 0 UNION ALL SELECT m | k, w + v, n + 1 FROM c JOIN e ON k & m <> k WHERE n < 3) SELECT min(w)::DOUBLE AS bound FROM c WHERE m = 7""")
@@ -336,6 +401,22 @@ def cost_models(s, d):
 _WORDS = "SELECT term, count(*) AS df FROM (SELECT doc_id, unnest(list_distinct(regexp_extract_all(lower(text), '[\\p{L}\\p{N}]+'))) AS term FROM documents) GROUP BY term HAVING count(*) >= 2"
 
 
+def global_tiles(rows: DataFrame, order: list[str], tiles: int) -> DataFrame:
+    """Adds ``rung``, the tile of each row in the order of all rows, as ``ntile`` would; rows are sorted by ranges, none in one task."""
+    work = Workspace(rows.sparkSession, "tiles")
+    ranged = rows.repartitionByRange(*order).sortWithinPartitions(*order)
+    placed = work.save(ranged.withColumn("part", F.spark_partition_id()).withColumn("at", F.monotonically_increasing_id().bitwiseAND((1 << 33) - 1)), "placed")
+    counts = sorted((r["part"], r["n"]) for r in placed.groupBy("part").agg(F.count("*").alias("n")).collect())  # a row a partition
+    n, begins, total = sum(c for _, c in counts), [], 0
+    for part, c in counts:
+        begins.append((part, total))
+        total += c
+    starts = F.broadcast(rows.sparkSession.createDataFrame(begins or [(0, 0)], "part int, begin long"))
+    spot, (size, larger) = F.col("begin") + F.col("at"), divmod(n, tiles)
+    rung = F.when(spot < larger * (size + 1), F.floor(spot / (size + 1)) + 1).otherwise(F.floor((spot - larger * (size + 1)) / max(1, size)) + larger + 1)
+    return placed.join(starts, "part").withColumn("rung", rung.cast("int")).drop("part", "at", "begin")
+
+
 def make_workload(index: DataFrame, per_m: int = 20) -> DataFrame:
     """``(query_id, m, rung, terms, total_df)``: for 2 to 6 keywords a ladder of rungs of rising frequency.
 
@@ -344,8 +425,7 @@ def make_workload(index: DataFrame, per_m: int = 20) -> DataFrame:
     of their digest, so the choice is the same everywhere.
     """
     words = document_frequency(index).where("df >= 2").withColumn("digest", F.md5("term"))
-    rung = F.ntile(per_m).over(Window.partitionBy(F.lit(0)).orderBy("df", "term"))
-    ranked = words.withColumn("rung", rung)
+    ranked = global_tiles(words, ["df", "term"], per_m)
     place = F.row_number().over(Window.partitionBy("rung").orderBy("digest"))
     picked = ranked.withColumn("place", place).where(F.col("place") <= 20)
     wanted = [(m, m * (m - 1) // 2 - 1) for m in range(2, 7)]
@@ -385,9 +465,10 @@ def threshold_topk(s, d):
 # runs whose results are trees, traces and shares --------------------------
 @query()
 def answer_trees(s, d):
-    """The five lightest trees for three keywords of the contact graph."""
+    """The five lightest trees for three keywords of the contact graph, with the status of the search."""
     g, seeds = _contact(s, d, 3)
-    return relationship_search(g, seeds, 3, 5, max_supersteps=4).answers
+    found = relationship_search(g, seeds, 3, 5)
+    return found.answers.withColumns({"status": F.lit(found.status), "spa_ratio": F.lit(found.spa_ratio).cast("double")})
 
 
 @query()
@@ -398,46 +479,175 @@ def search_trace(s, d):
 
 @query()
 def batch_trees(s, d):
-    """Edges of the best trees of four workload queries, found in one loop."""
-    g, seeds, queries = content_batch(s, d, [0, 10, 20, 30])
-    answers, state, _ = batch_search(g, seeds, queries, max_supersteps=4)
+    """Edges of the best trees of ten workload queries of two to six keywords, found in one loop that ends by itself."""
+    g, seeds, queries = content_batch(s, d, list(range(0, 100, 10)))
+    answers, state, _ = batch_search(g, seeds, queries)
     return rebuild(g, answers, state)
 
 
 @query()
 def stop_compare(s, d):
-    """Rounds, weight and status under each stop rule and ablation."""
+    """Rounds, weight, status and deep messages under each stop rule and ablation, each run to its own end."""
     g, seeds = _contact(s, d, 2)
-    variants = {"published": {}, "ties stop": {"tie_ok": True}, "certified": {"stop": "certified"}, "none": {"stop": "none"}, "half cut": {"stop": "none", "half_cut": True}, "balanced only": {"deep": False, "stop": "none"}, "no drain": {"drain": False}}
+    variants = EXACT_STOPS | {"ties stop": {"tie_ok": True}, "balanced only": {"deep": False, "stop": "none"}, "no drain": {"drain": False}}
     rows = []
     for name, options in variants.items():
-        found = relationship_search(g, seeds, 2, 1, max_supersteps=4, **options)
+        found = relationship_search(g, seeds, 2, 1, **options)
         rows.append((name, found.status, found.best[0]["length"] if found.best else None, len(found.rows), report.deep_messages(found)))
     return s.createDataFrame(rows, "variant string, status string, weight double, rounds int, deep_msgs long")
 
 
 @query()
 def profile_shares(s, d):
+    """Percent of the time of the five components, for queries of two to four keywords and K of 1, 2, 5 and 10 (K above 1 with two keywords)."""
+    rows = []
+    for m, k in ((2, 1), (3, 1), (4, 1), (2, 2), (2, 5), (2, 10)):
+        g, seeds = _contact(s, d, m)
+        shares = report.component_shares(relationship_search(g, seeds, m, k, profile=True))
+        rows += [(m, k, name, share) for name, share in shares.items()]
+    return s.createDataFrame(rows, "m int, k int, component string, percent double")
+
+
+@query()
+def measures_by_k(s, d):
+    """Explored nodes, messages, deep messages, combinations and payload of whole runs, by K."""
     g, seeds = _contact(s, d, 2)
-    shares = report.component_shares(relationship_search(g, seeds, 2, 1, profile=True))
-    return s.createDataFrame(list(shares.items()), "component string, percent double")
+    rows = []
+    for k in (1, 2, 5, 10):
+        found = relationship_search(g, seeds, 2, k, measures=True)
+        total = lambda name: sum(r[name] or 0 for r in found.rows)  # noqa: E731, B023
+        rows.append((k, found.status, found.pct_explored, found.pct_messages, total("bfs_msgs"), total("deep_msgs"), total("combinations"), 24 * total("tree_edges"), total("candidates"), len(found.rows)))
+    return s.createDataFrame(rows, "k int, status string, pct_explored double, pct_messages double, bfs_msgs long, deep_msgs long, combinations long, payload_bytes long, candidates long, rounds int")
+
+
+@query()
+def cut_runs(s, d):
+    """Status, bound and ratio of searches that stop before a round of too many messages, and the 90th percentile of the ratio by limit and K."""
+    rows = []
+    for most in (200, 2_000, 1_000_000):
+        for k in (1, 2):
+            for terms in (["3", "77"], ["12", "error"], ["41", "8"]):
+                g = builders.contact_graph(s, d)
+                found = relationship_search(g, find_seeds(build_index(g.vertices), g.vertices, terms), 2, k, max_messages=most)
+                rows.append((most, k, found.status, found.best[0]["length"] if found.best else None, found.smallest_possible, found.spa_ratio))
+    runs = s.createDataFrame(rows, "max_messages long, k int, status string, best double, smallest_possible double, spa_ratio double")
+    return runs.groupBy("max_messages", "k").agg(
+        F.count("*").alias("queries"), F.count_if(F.col("status") == "optimal").alias("optimal"), F.count_if(F.col("status") == "truncated_messages").alias("cut"), F.percentile("spa_ratio", F.lit(0.9)).alias("p90_ratio")
+    )
+
+
+def _fold_sizes(s, d, how: str) -> DataFrame:
+    """Combinations that each way of filtering evaluates at the nodes of one round, a grouped map by node."""
+    g, seeds = _contact(s, d, 3)
+    arrived = trees.grow(trees.seed_rows(seeds), g.edges, seeds)
+    rows = arrived.select("node_id", "mask", "length", F.col("src").cast("long").alias("src"))
+
+    def count(frame: pd.DataFrame) -> pd.DataFrame:
+        if how == "brute":
+            paths = [(int(mask).bit_length() - 1, w, frozenset({(int(src), int(mask), float(w))})) for mask, w, src in zip(frame["mask"], frame["length"], frame["src"], strict=True)]
+            tried = exact.brute_local_topk(paths, 3, 1)[1]
+        else:
+            tables = [{int(m): [(float(w), frozenset({int(x)}))] for m, w, x in zip(g["mask"], g["length"], g["src"], strict=True)} for _, g in frame.groupby("src")]
+            tried = exact.fold(tables, 3, 1, pairwise=how == "pairwise")[1]
+        return pd.DataFrame({"node_id": [int(frame["node_id"].iloc[0])], "n": [tried]})
+
+    counted = rows.groupBy("node_id").applyInPandas(count, "node_id long, n long")
+    return counted.agg(F.lit(how).alias("method"), F.count("*").alias("nodes"), F.sum("n").alias("combinations"))
+
+
+@query()
+def measured_combinations(s, d):
+    """Combinations evaluated in a round by brute force, all messages at once, pairwise folding, and the relational merge."""
+    found = reduce(DataFrame.unionByName, [_fold_sizes(s, d, how) for how in ("brute", "at once", "pairwise")])
+    g, seeds = _contact(s, d, 3)
+    arrived = trees.prune(trees.grow(trees.seed_rows(seeds), g.edges, seeds).select(*trees.COLUMNS), 1)
+    merged = trees.pairs_at_nodes(arrived, arrived).agg(F.lit("relational").alias("method"), F.countDistinct("node_id").alias("nodes"), F.count("*").alias("combinations"))
+    return found.unionByName(merged)
+
+
+SMALL_GRAPH = 200_000
 
 
 @query()
 def heuristics_compare(s, d):
-    """Exact weight against the path-union and closure heuristics on a small collected graph."""
+    """Exact weight against the path-union and closure heuristics on a collected graph; raises ValueError above 200,000 edges."""
     g, seeds = _contact(s, d, 3)
-    edges = [(r.src, r.dst, r.length) for r in g.edges.where("not mirrored").limit(200_000).collect()]
+    if g.n_edges() > SMALL_GRAPH:
+        raise ValueError(f"the graph has more than {SMALL_GRAPH} edges, too many for one machine's searches")
+    edges = [(r.src, r.dst, r.length) for r in g.edges.where("not mirrored").collect()]
     groups = [set() for _ in range(3)]
     for r in seeds.collect():
         for i in range(3):
             if r.mask >> i & 1:
                 groups[i].add(r.node_id)
     best, counters = exact.standalone_search(edges, groups)
-    rows = [("exact", exact.exact_group_steiner(edges, groups)), ("path union", exact.path_union_heuristic(edges, groups)), ("standalone", best), ("standalone reads", float(counters["reads"])), ("metric closure", exact.metric_closure_mst(edges, [min(x) for x in groups]))]
+    found = relationship_search(g, seeds, 3, 1).best
+    rows = [("exact", exact.exact_group_steiner(edges, groups)), ("search", float(found[0]["length"])), ("path union", exact.path_union_heuristic(edges, groups)), ("standalone", best), ("standalone reads", float(counters["reads"])), ("metric closure", exact.metric_closure_mst(edges, [min(x) for x in groups]))]
     return s.createDataFrame(rows, "method string, weight double")
 
 
+# the hundred queries, run ----------------------------------------------------
+_CONTENT = """, word AS (SELECT doc_id, unnest(list_distinct(regexp_extract_all(lower(text), '[\\p{L}\\p{N}]+'))) AS term FROM documents),
+link AS (SELECT 'd'||doc_id AS a, 'w'||term AS b FROM word UNION ALL SELECT 'd'||doc_id, 'l'||lang FROM documents WHERE lang IS NOT NULL UNION ALL SELECT 'd'||doc_id, 's'||source FROM documents WHERE source IS NOT NULL
+UNION SELECT 'd'||doc_id, 'q'||quality FROM labels WHERE quality IS NOT NULL UNION SELECT 'd'||doc_id, 't'||toxic FROM labels WHERE toxic IS NOT NULL),
+deg AS (SELECT b, count(*) AS degree FROM link GROUP BY b), g1 AS (SELECT a, link.b, length(CAST(degree AS VARCHAR))::DOUBLE AS w FROM link JOIN deg ON link.b = deg.b WHERE degree BETWEEN 2 AND 1000),
+g AS MATERIALIZED (SELECT a AS src, b AS dst, w FROM g1 UNION ALL SELECT b, a, w FROM g1)"""
+
+
+def _workload_sql(m: int, rounds: int = 8) -> str:
+    """Unrolled distances of all keywords of the queries of ``m`` keywords; nodes of one neighbour other than documents lead nowhere."""
+    out = [_WORKLOAD.replace("SELECT ((m", f", picked AS (SELECT ((m", 1) + f" WHERE m = {m})", _CONTENT]
+    out.append(", d0 AS MATERIALIZED (SELECT query_id, q, 'd'||doc_id AS node, 0.0::DOUBLE AS w FROM (SELECT query_id, unnest(range(len(terms))) AS q, unnest(terms) AS term FROM picked) x JOIN word ON word.term = x.term)")
+    for n in range(1, rounds + 1):
+        out.append(f", d{n} AS MATERIALIZED (SELECT query_id, q, node, min(w) AS w FROM (SELECT * FROM d{n - 1} UNION ALL SELECT query_id, q, g.dst, x.w + g.w FROM d{n - 1} x JOIN g ON g.src = x.node) GROUP BY ALL)")
+    out.append(f", total AS (SELECT query_id, node, sum(w) AS w FROM d{rounds} GROUP BY ALL HAVING count(*) = {m}) SELECT query_id, min(w) AS weight FROM total GROUP BY query_id")
+    return " ".join(out)
+
+
+def _workload_sql_of_four(rounds: int = 8) -> str:
+    """Four keywords: pairs that meet at a node are relaxed like keywords and meet the other two."""
+    out = [_workload_sql(4, rounds).split(", total AS (")[0]]
+    out.append(f", p0 AS MATERIALIZED (SELECT x.query_id, x.q * 4 + y.q AS q, x.node, min(x.w + y.w) AS w FROM d{rounds} x JOIN d{rounds} y ON x.query_id = y.query_id AND x.node = y.node AND x.q < y.q GROUP BY ALL)")
+    for n in range(1, rounds + 1):
+        out.append(f", p{n} AS MATERIALIZED (SELECT query_id, q, node, min(w) AS w FROM (SELECT * FROM p{n - 1} UNION ALL SELECT query_id, q, g.dst, x.w + g.w FROM p{n - 1} x JOIN g ON g.src = x.node) GROUP BY ALL)")
+    ways = []
+    for a in range(4):
+        for b in range(a + 1, 4):
+            c, e = (x for x in range(4) if x not in (a, b))
+            ways.append(f"SELECT x.query_id, x.w + c.w + e.w AS w FROM p{rounds} x JOIN d{rounds} c ON c.query_id = x.query_id AND c.node = x.node AND c.q = {c} JOIN d{rounds} e ON e.query_id = x.query_id AND e.node = x.node AND e.q = {e} WHERE x.q = {a * 4 + b}")
+    return " ".join(out) + f" SELECT query_id, min(w) AS weight FROM ({' UNION ALL '.join(ways)}) GROUP BY query_id"
+
+
+def _workload_weights(s, d, m: int) -> DataFrame:
+    g, seeds, queries = content_batch(s, d, list(range(20 * (m - 2), 20 * (m - 1))))
+    return batch_search(g, seeds, queries)[0].select("query_id", "weight")
+
+
+@query(_workload_sql(2))
+def workload_m2(s, d):
+    """Best weights of the twenty workload queries of two keywords, to their own end."""
+    return _workload_weights(s, d, 2)
+
+
+@query(_workload_sql(3))
+def workload_m3(s, d):
+    """Best weights of the twenty workload queries of three keywords, to their own end."""
+    return _workload_weights(s, d, 3)
+
+
+@query(_workload_sql_of_four())
+def workload_m4(s, d):
+    """Best weights of the twenty workload queries of four keywords, to their own end."""
+    return _workload_weights(s, d, 4)
+
+
+@query()
+def workload_answers(s, d):
+    """All hundred workload queries, two to six keywords, in one loop that ends by itself: weight, root and whether it is proven."""
+    g, seeds, queries = content_batch(s, d, list(range(100)))
+    return batch_search(g, seeds, queries)[0]
+
+
 @query(f"SELECT m, round(regr_slope(log10(total_df), rung), 6) AS slope FROM ({_WORKLOAD}) GROUP BY m")
 def keyword_node_growth(s, d):
     """Slope of the logarithm of keyword nodes over the rungs of the workload."""
