@@ -114,6 +114,20 @@ def test_recall_of_vector_pairs_on_planted_clusters(spark, spread):
     assert same >= 0.9 * (ends > 0).sum()
 
 
+def test_markov_ratio_finds_planted_strings_and_leaves_identifiers(spark):
+    rng = random.Random(3)
+    alphabet = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789"
+    words = "render widget matrix kernel window branch commit remote socket thread".split()
+    planted = ["".join(rng.choices(alphabet, k=rng.randint(28, 44))) for _ in range(200)]
+    plain = ["_".join(rng.choices(words, k=4)) for _ in range(100)] + ["".join(w.title() for w in rng.choices(words, k=5)) for _ in range(100)]
+    rows = [(k, f"{prose(20, k)} {x} {prose(20, k + 1)}") for k, x in enumerate([*planted, *plain])]
+    ratios = secrets.transition_ratios(secrets.labelled_samples(spark, frame(spark, rows)))
+    found = {r.doc_id: [s.run for s in r.added] for r in secrets.secret_spans(frame(spark, rows), ratios).collect()}
+    caught = sum(found[k] == [x] for k, x in enumerate(planted))
+    wrong = sum(bool(found[200 + k]) for k in range(200))
+    assert caught >= 180 and wrong <= 2, (caught, wrong)
+
+
 def test_workspaces_can_be_deleted(spark):
     import os
 
