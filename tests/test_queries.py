@@ -11,7 +11,7 @@ from relq.plans import registry
 SF = "/root/testdata/sf0.001"
 SOME = [
     "graph_fk_edges", "graph_contact_edges", "graph_link_edges", "graph_triple_edges", "edge_length_tau", "edge_length_strength", "mirror_edges", "index_postings_df", "seed_lookup_phrase", "seed_lookup_predicate",
-    "keyword_distance", "bfs_levels", "explored_and_messages", "rel_m2_top1", "rel_m3_top1", "state_subset_lengths", "workload_100", "keyword_node_growth", "threshold_topk", "spa_bound", "op_join_asof_event", "op_join_interval_contact",
+    "keyword_distance", "bfs_levels", "explored_and_messages", "rel_m2_top1", "rel_m3_top1", "rel_m2_topk_weights", "deep_counts", "rel_lead_groups_apart", "graph_knn_edges", "state_subset_lengths", "workload_100", "keyword_node_growth", "threshold_topk", "spa_bound", "op_join_asof_event", "op_join_interval_contact",
     "op_agg_grouping_sets", "op_win_range_frame", "op_map_merge_min", "op_udtf_partitions", "op_sql_recursive_bfs", "op_scan_text_triples", "op_scale_free_source", "st_session", "st_dedup", "st_incremental_edges",
 ]
 
