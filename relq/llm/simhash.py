@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected_components
-from .workers import tidy
+from .workers import release, tidy
 from .workspace import Workspace
 
 #: Fingerprints on which the tree is grown: pivots only, results do not depend on it.
@@ -262,22 +262,30 @@ def sketches(docs: DataFrame, text_col: str, shingle: int) -> DataFrame:
     return docs.select(F.md5(body.cast("binary")).alias("mark"), body.alias("text")).mapInArrow(tidy(run), "mark string, fp long, size long, bands array<long>")
 
 
+#: Shingles of the sets that leave a worker at once.
+SET_HASHES = 200_000
+
+
 def _shingle_sets(texts: DataFrame, shingle: int) -> DataFrame:
     """``(node, hashes)``: the sorted distinct shingle hashes of ``texts(node, text)``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for k in range(0, batch.num_rows, 64):
-                part = batch.slice(k, 64)
-                sets = [np.unique(shingle_hashes(t.as_py(), shingle)).view(np.int64) for t in part.column(1).cast(pa.binary())]
+            texts, at = batch.column(1).cast(pa.binary()), 0
+            while at < batch.num_rows:
+                sets, held = [], 0
+                while at + len(sets) < batch.num_rows and len(sets) < 64 and held < SET_HASHES:
+                    sets.append(np.unique(shingle_hashes(texts[at + len(sets)].as_py(), shingle)).view(np.int64))
+                    held += len(sets[-1])
                 ends = pa.array(np.concatenate([[0], np.cumsum([len(s) for s in sets])]).astype(np.int32))
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(ends, pa.array(np.concatenate(sets)))], ["node", "hashes"])
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, len(sets)), pa.ListArray.from_arrays(ends, pa.array(np.concatenate(sets)))], ["node", "hashes"])
+                at += len(sets)
 
     return texts.select("node", "text").mapInArrow(tidy(run), "node long, hashes array<long>")
 
 
 #: Texts and shingles of one block of a bucket; a task compares two blocks.
-BLOCK_TEXTS, BLOCK_SHINGLES = 512, 1_000_000
+BLOCK_TEXTS, BLOCK_SHINGLES = 512, 400_000
 
 
 def shared_counts(owner: np.ndarray, hashes: np.ndarray, n: int) -> np.ndarray:
@@ -331,6 +339,9 @@ def links_in_buckets(members: DataFrame, sets: DataFrame, similarity: float) ->
         linked = shared >= similarity * (sizes[:, None] + sizes - shared) - 1e-9
         linked &= (root[:, None] != root) & (home[:, None] | home)
         a, b = np.nonzero(linked)
+        del hashes, shared, linked
+        if sizes.sum() > BLOCK_SHINGLES // 2:
+            release()
         return pa.Table.from_pandas(spanning_links(root[a], root[b]), preserve_index=False)
 
     return tasks.join(sets, "node").groupBy("bucket", "i", "j").applyInArrow(compare, "a long, b long")
