@@ -11,13 +11,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Fixed masks for items of 13 words or more; all begin with two selected words.
-MASKS = ("111011001", "110101101", "110011011")
-#: Masks of shorter items, with the least and most words of the items they serve. A leak of such an item holds so many
-#: equal words in a row: at most one word is replaced, and of 5 to 12 words at least 4 on one side of it are equal.
-SHORT_MASKS = (("1111", 5, 12), ("111", 3, 4), ("11", 2, 2), ("1", 1, 1))
-ALL_MASKS = (*MASKS, *(m for m, *_ in SHORT_MASKS))
-SPAN = max(map(len, ALL_MASKS))
+#: Masks, with the least and most words of the items they serve; all begin with as many selected words as their seeds' lead.
+#: They miss no leak. Runs of equal words between replaced words that avoid the first three masks have at most three words,
+#: and two neighbouring runs at most four, so a stretch of r replaced words scores at most 2 (r odd) or 3 (r even), and an
+#: item of five words or more leaks at 4 or more. Shorter items leak only by a run of three, two or one words.
+MASKS = (("1111", 5, None), ("110111", 5, None), ("111011", 5, None), ("111", 3, 4), ("11", 2, 2), ("1", 1, 1))
+SPAN = max(len(m) for m, *_ in MASKS)
 #: A stretch scores 1 for an equal word and -2 for a replaced one.
 MISMATCH, FULL_SCORE, SHARE = 2, 13, 0.7
 #: Seeds of the benchmark that may be broadcast; more are joined by a shuffle.
@@ -44,8 +43,8 @@ def _lead(words: Column, at: Column, both: bool) -> Column:
 def benchmark_seeds(items: DataFrame, both: bool) -> DataFrame:
     """``(mask, hash, pair, item_no, at)`` of ``items(item_no, words)``; each item has the masks of its length."""
     at = items.select("item_no", "words", F.explode(F.sequence(F.lit(0), F.size("words") - 1)).alias("at"))
-    served = [F.size("words") > SHORT_MASKS[0][2]] * len(MASKS) + [F.size("words").between(low, high) for _, low, high in SHORT_MASKS]
-    seeds = [F.struct(F.lit(k).alias("mask"), F.when(ok, seed(F.col("words"), F.col("at"), m)).alias("hash")) for k, (m, ok) in enumerate(zip(ALL_MASKS, served, strict=True))]
+    served = [(F.size("words") >= low) & (F.size("words") <= (high or 1 << 30)) for _, low, high in MASKS]
+    seeds = [F.struct(F.lit(k).alias("mask"), F.when(ok, seed(F.col("words"), F.col("at"), m)).alias("hash")) for k, ((m, *_), ok) in enumerate(zip(MASKS, served, strict=True))]
     pair = _lead(F.col("words"), F.col("at"), both)
     return at.select("item_no", "at", pair.alias("pair"), F.explode(F.array(*seeds)).alias("s")).select("s.mask", "s.hash", "pair", "item_no", "at").where("hash is not null")
 
@@ -87,7 +86,7 @@ def benchmark_overlaps(docs: DataFrame, items: DataFrame, id_col: str = "doc_id"
     shortest = bench.agg(F.min(F.size("words"))).first()[0] or 2
     seeds = benchmark_seeds(bench, shortest > 1)
     facts = seeds.agg(F.count("*"), F.collect_set("mask")).first()
-    small, masks = facts[0] <= BROADCAST_SEEDS, [(k, ALL_MASKS[k]) for k in sorted(facts[1])]
+    small, masks = facts[0] <= BROADCAST_SEEDS, [(k, MASKS[k][0]) for k in sorted(facts[1]) or range(len(MASKS))]
     near = F.broadcast if small else lambda x: x
     sized = seeds.join(bench.select("item_no", F.size("words").alias("item_words")), "item_no").select("mask", "hash", "item_no", F.col("at").alias("item_at"), "item_words")
 

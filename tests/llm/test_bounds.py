@@ -137,3 +137,26 @@ def test_workspaces_can_be_deleted(spark):
     assert os.path.isdir(folder)
     work.close()
     assert not os.path.isdir(folder) and BASE
+
+
+def test_leaks_of_long_items_equal_brute_force(spark, monkeypatch):
+    """Items of 13 words and more with words replaced anywhere: every pair whose best stretch is enough is found."""
+    rng = random.Random(11)
+    items = [(n, prose(n, 7000 + n)) for n in (13, 15, 18, 25, 43, 60, 120)]
+    rows = []
+    for n, text in items:
+        for k in range(24):
+            words, spot = text.split(), rng.randrange(3)
+            while spot < n:
+                words[spot] = f"zzz{k}"
+                spot += rng.choice((2, 3, 4) if k % 2 else (3, 3, 4, 5))
+            rows.append((len(rows), f"{prose(5, 8000 + k)} {' '.join(words)}"))
+    # runs of eight equal words, three replaced between: masks of nine words with three left out found none of them
+    for n, text in items[-3:]:
+        rows.append((len(rows), " ".join("zzz" if k % 11 > 7 else w for k, w in enumerate(text.split()))))
+    want = {(d, n) for d, x in rows for n, text in items if stretch(x.split(), text.split()) >= min(13, -(-n * 7 // 10))}
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    for most in (2_000_000, 0):
+        monkeypatch.setattr(decontaminate, "BROADCAST_SEEDS", most)
+        assert {(r.doc_id, r.item_id) for r in decontaminate.benchmark_overlaps(frame(spark, rows), bench).collect()} == want
+    assert {(len(rows) - 3 + k, n) for k, (n, _) in enumerate(items[-3:])} <= want
