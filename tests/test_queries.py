@@ -62,3 +62,33 @@ def test_no_python_and_no_product_in_the_search_loop(spark):
     grown = trees.grow(state, edges, seeds).drop("src")
     plan = trees.prune(trees.leaves_needed(trees.merge(grown.select(*trees.COLUMNS), state), trees.F.col("mask")), 3)._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Cartesian" not in plan and "NestedLoop" not in plan
+
+
+@pytest.fixture(scope="module")
+def unconnected(tmp_path_factory):
+    """Tables whose events have a bucket of more than a thousand users, so no edge of the contact graph is short enough to stay."""
+    folder = tmp_path_factory.mktemp("unconnected")
+    c = duckdb.connect()
+    for p in glob.glob(f"{SF}/*.parquet"):
+        name = os.path.basename(p)
+        if name == "events.parquet":
+            c.execute(f"COPY (SELECT e.* REPLACE (event_id + i * 1000 AS event_id, i * 1000 + user_id AS user_id, 'error' AS event_type, '{{\"k\": ' || CASE WHEN i % 2 = 0 THEN 3 ELSE 77 END || '}}' AS props) FROM '{p}' e, range(400) r(i)) TO '{folder}/{name}'")
+        else:
+            os.symlink(p, folder / name)
+    for p in glob.glob(f"{folder}/*.parquet"):
+        c.execute(f"CREATE VIEW {os.path.basename(p)[:-8]} AS SELECT * FROM '{p}'")
+    return str(folder), c
+
+
+@pytest.mark.parametrize("name", ["explored_and_messages", "stop_weights", "rel_lead_groups_apart", "rel_m2_top1", "rel_m3_top1", "rel_m4_top1", "search_m3_top1", "deep_counts"])
+def test_query_equals_its_sql_without_edges(spark, unconnected, name):
+    folder, c = unconnected
+    df, found = registry.QUERIES[name](spark, folder), c.execute(registry.ORACLES[name])
+    names = [x[0] for x in found.description]
+    want = sorted(repr([row[names.index(k)] for k in df.columns]) for row in found.fetchall())
+    assert sorted(repr(list(row)) for row in df.collect()) == want
+
+
+def test_heuristics_without_an_answer(spark, unconnected):
+    found = {r.method: r.weight for r in registry.QUERIES["heuristics_compare"](spark, unconnected[0]).collect()}
+    assert found == {"exact": None, "search": None, "path union": None, "standalone": None, "standalone reads": 0.0, "metric closure": None}
