@@ -21,6 +21,16 @@ TRACE = (
 ANSWER = "rank int, root long, weight double, n_edges int, members array<long>, edges array<struct<a:bigint,b:bigint,len:double>>, parts array<struct<mask:int,length:double>>, sig long"
 
 
+@dataclass(frozen=True)
+class Cut:
+    """What a run that stops before a round of more than so many messages ends with."""
+
+    status: str
+    best: float | None
+    smallest_possible: float | None
+    spa_ratio: float | None
+
+
 @dataclass
 class SearchResult:
     """Answers and trace as DataFrames, with the status and the measures of the run."""
@@ -36,6 +46,7 @@ class SearchResult:
     timers: dict[str, float] = field(default_factory=dict)
     rows: list[dict] = field(default_factory=list)
     best: list[dict] = field(default_factory=list)
+    cuts: dict[int, Cut] = field(default_factory=dict)
 
 
 def _owners(row: dict, full: int) -> dict[int, int]:
@@ -51,7 +62,7 @@ def _fold(best: list[dict], fresh: list[dict], k: int) -> list[dict]:
 def relationship_search(
     graph: RelGraph, seeds: DataFrame, m: int, k: int = 1, *, stop: str = "published", scope: str = "frontier", deep: bool = True, drain: bool = True,
     max_messages: int | None = None, max_supersteps: int | None = None, slack: int = 2, half_cut: bool = False, local_minimal: bool = True, tie_ok: bool = False,
-    prune: bool = True, profile: bool = False, measures: bool = False,
+    prune: bool = True, profile: bool = False, measures: bool = False, cut_at: tuple[int, ...] = (),
 ) -> SearchResult:
     """Top-K minimal trees of ``seeds(node_id, mask)`` over m keywords.
 
@@ -60,7 +71,9 @@ def relationship_search(
     not found yet; looks at all active nodes) or ``none`` (to quiescence).
     ``deep=False`` sends to unreached nodes only, ``drain=False`` halts at the
     stop test, ``prune=False`` keeps every partial tree (tiny graphs).
-    ``max_messages`` cuts the run before a round that would send more.
+    ``max_messages`` cuts the run before a round that would send more;
+    ``cut_at`` lists limits at which a run would end as told in ``cuts``, all
+    from this one run, as a limit changes nothing before its cut.
     ``profile`` sends the two classes of messages one after the other, so each
     has a time of its own; ``measures`` also counts candidates, state rows and
     the combinations that merges look at.
@@ -106,9 +119,13 @@ def relationship_search(
             growable = growable.where(F.col("length") <= w_k)
             if half_cut:
                 growable = growable.where(2 * F.col("length") <= w_k)
-        if max_messages is not None:
+        if max_messages is not None or cut_at:
             predicted = growable.select("node_id").distinct().join(edges, F.col("node_id") == F.col("src")).count()
-            if predicted > max_messages:
+            for most in cut_at:
+                if predicted > most and most not in out.cuts:
+                    bound, lightest = masks.smallest_possible(masks.estimate_next(smallest, e_min, full) if smallest else {}, m), best[0]["length"] if best else None
+                    out.cuts[most] = Cut("truncated_messages", lightest, bound, masks.spa_ratio(lightest, bound, False))
+            if max_messages is not None and predicted > max_messages:
                 status = "truncated_messages"
                 break
         reached = functools.reduce(DataFrame.unionByName, visits)
@@ -252,6 +269,12 @@ def _finish(spark: SparkSession, graph: RelGraph, out: SearchResult, best: list[
     return out
 
 
+def cut_results(found: SearchResult, cut_at: tuple[int, ...]) -> dict[int, Cut]:
+    """The end of a run by limit: its cut, or for limits that no round passed the end of the whole run."""
+    whole = Cut(found.status, found.best[0]["length"] if found.best else None, found.smallest_possible, found.spa_ratio)
+    return {most: found.cuts.get(most, whole) for most in cut_at}
+
+
 def connecting_nodes(graph: RelGraph, seeds: DataFrame, m: int, k: int = 1, **options) -> DataFrame:
     """Only the roots of the K lightest trees, with their weights."""
     return relationship_search(graph, seeds, m, k, **options).answers.select("rank", "root", "weight")
